@@ -1,8 +1,12 @@
 """The queries of this subpackage, by name, and the SQL of those that SQL can express."""
 
 from .near_duplicates import op10_near_duplicates
+from .packing import op7_best_fit_packing
+from .secrets import op2_secret_scan
 
 QUERIES = {
+    "op2_secret_scan": op2_secret_scan,
+    "op7_best_fit_packing": op7_best_fit_packing,
     "op10_near_duplicates": op10_near_duplicates,
 }
 
