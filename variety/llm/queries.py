@@ -3,8 +3,10 @@
 from .near_duplicates import op10_near_duplicates
 from .packing import op7_best_fit_packing
 from .secrets import op2_secret_scan
+from .toxicity import op1_toxicity
 
 QUERIES = {
+    "op1_toxicity": op1_toxicity,
     "op2_secret_scan": op2_secret_scan,
     "op7_best_fit_packing": op7_best_fit_packing,
     "op10_near_duplicates": op10_near_duplicates,
