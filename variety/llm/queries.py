@@ -1,5 +1,6 @@
 """The queries of this subpackage, by name, and the SQL of those that SQL can express."""
 
+from .embeddings import op8_embedding_near_dedup
 from .near_duplicates import op10_near_duplicates
 from .packing import op7_best_fit_packing
 from .secrets import op2_secret_scan
@@ -9,6 +10,7 @@ QUERIES = {
     "op1_toxicity": op1_toxicity,
     "op2_secret_scan": op2_secret_scan,
     "op7_best_fit_packing": op7_best_fit_packing,
+    "op8_embedding_near_dedup": op8_embedding_near_dedup,
     "op10_near_duplicates": op10_near_duplicates,
 }
 
