@@ -5,10 +5,12 @@ from .near_duplicates import op10_near_duplicates
 from .packing import op7_best_fit_packing
 from .secrets import op2_secret_scan
 from .toxicity import op1_toxicity
+from .warc import op5_warc_round_trip
 
 QUERIES = {
     "op1_toxicity": op1_toxicity,
     "op2_secret_scan": op2_secret_scan,
+    "op5_warc_round_trip": op5_warc_round_trip,
     "op7_best_fit_packing": op7_best_fit_packing,
     "op8_embedding_near_dedup": op8_embedding_near_dedup,
     "op10_near_duplicates": op10_near_duplicates,
