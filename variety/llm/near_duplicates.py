@@ -15,7 +15,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import bytescan as B
@@ -124,9 +124,8 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
 
     Texts with one set are one class, represented by its smallest doc_id. In each band's
     bucket every member meets the bucket's smallest first. Members of one component need
-    no further comparison; others meet each other only where the distances to that smallest
-    one allow a link (resemblance distance is a metric), so that nothing is lost and
-    no bucket is expanded into all its pairs.
+    no further comparison. Where a bucket holds several components, its texts meet by their
+    rarest shingles, which loses no link, so that no bucket is expanded into all its pairs.
     """
     bands = band_count(percent / 100)
     texts = text_frame(docs, F.col("doc_id").cast("long").alias("doc_id"))
@@ -151,21 +150,11 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     links = first.where(f"100 * shared >= {percent} * joined").select("u", "v")
     label = written(components(links), "labels")
 
-    far = first.select(F.col("u").alias("lead"), F.col("v").alias("doc_id"), (1 - F.col("shared") / F.col("joined")).alias("distance"))
-    placed = members.join(far, ["lead", "doc_id"], "left").join(label.select(F.col("node").alias("doc_id"), "component"), "doc_id", "left")
-    placed = placed.select("bucket", "lead", "doc_id", "n_shingles", F.coalesce("distance", F.lit(0.0)).alias("distance"), F.coalesce("component", "doc_id").alias("component"))
-    placed = written(placed, "placed")
+    placed = members.join(label.select(F.col("node").alias("doc_id"), "component"), "doc_id", "left")
+    placed = written(placed.select("bucket", "doc_id", F.coalesce("component", "doc_id").alias("component")), "placed")
     mixed = placed.groupBy("bucket").agg(F.min("component").alias("a"), F.max("component").alias("b")).where("a < b").select("bucket")
-    rest = placed.join(mixed, "bucket", "left_semi").where("lead < doc_id")
-    x, y = rest.alias("x"), rest.alias("y")
-    room = 1 - percent / 100 + 1e-9
-    more = x.join(
-        y,
-        (F.col("x.bucket") == F.col("y.bucket"))
-        & (F.col("x.component") < F.col("y.component"))
-        & (F.abs(F.col("x.distance") - F.col("y.distance")) <= room)
-        & (100 * F.least("x.n_shingles", "y.n_shingles") >= percent * F.greatest("x.n_shingles", "y.n_shingles")),
-    ).select(F.least("x.doc_id", "y.doc_id").alias("u"), F.greatest("x.doc_id", "y.doc_id").alias("v")).distinct()
+    rest = placed.join(mixed, "bucket", "left_semi").select("doc_id", "component").distinct()
+    more = _prefix_pairs(rest, sets, percent)
     second = _resemblance(more.join(pairs, ["u", "v"], "left_anti"), sets).where(f"100 * shared >= {percent} * joined").select("u", "v")
     second = written(second, "links")
     if not second.isEmpty():
@@ -178,6 +167,29 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     return out.select("doc_id", "n_shingles", component.alias("component_id")).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
 
 
+def _prefix_pairs(docs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Pairs u < v of ``docs`` (doc_id, component) in different components that may be linked; no linked pair is missed.
+
+    Shingles are put in one order, rarest first. Of two linked sets the smaller has a common
+    shingle among the first n - 2t/(1+t) n + 1 of its own, the larger among its first n - t n + 1, and the
+    shingles from there on suffice for the overlap. What edits leave apart from a common original is rare and
+    comes first, so texts of one origin that are too different don't meet at all.
+    """
+    items = sets.join(docs, "doc_id").select("doc_id", "component", F.size("shingles").alias("n"), F.explode("shingles").alias("shingle"))
+    items = written(items, "items")
+    often = items.groupBy("shingle").agg(F.count(F.lit(1)).alias("often"))
+    order = Window.partitionBy("doc_id").orderBy("often", "shingle")
+    items = items.join(often.where("often > 1"), "shingle", "left").withColumn("at", F.row_number().over(order) - 1)
+    items = items.where(f"often is not null and at < n - ceil({percent} * n / 100) + 1").drop("often")
+    items = written(items, "prefixes")
+    small = items.where(f"at < n - ceil({2 * percent} * n / {100 + percent}) + 1").alias("x")
+    large = items.alias("y")
+    least = 1 + F.least(F.expr("x.n - x.at - 1"), F.expr("y.n - y.at - 1"))
+    meet = F.expr(f"x.shingle = y.shingle and x.component <> y.component and x.n <= y.n and 100 * x.n >= {percent} * y.n")
+    pairs = small.join(large, meet & (least * (100 + percent) >= percent * F.expr("x.n + y.n")))
+    return pairs.select(F.least("x.doc_id", "y.doc_id").alias("u"), F.greatest("x.doc_id", "y.doc_id").alias("v")).distinct()
+
+
 def _resemblance(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     """u, v with the sizes of their sets' intersection and union."""
     a = sets.select(F.col("doc_id").alias("u"), F.col("shingles").alias("a"))

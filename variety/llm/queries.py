@@ -5,11 +5,13 @@ from .near_duplicates import op10_near_duplicates
 from .packing import op7_best_fit_packing
 from .secrets import op2_secret_scan
 from .toxicity import op1_toxicity
+from .urls import op4_url_filter
 from .warc import op5_warc_round_trip
 
 QUERIES = {
     "op1_toxicity": op1_toxicity,
     "op2_secret_scan": op2_secret_scan,
+    "op4_url_filter": op4_url_filter,
     "op5_warc_round_trip": op5_warc_round_trip,
     "op7_best_fit_packing": op7_best_fit_packing,
     "op8_embedding_near_dedup": op8_embedding_near_dedup,
