@@ -2,6 +2,7 @@
 
 from .embeddings import op8_embedding_near_dedup
 from .near_duplicates import op10_near_duplicates
+from .order_minhash import op9_order_minhash
 from .packing import op7_best_fit_packing
 from .secrets import op2_secret_scan
 from .toxicity import op1_toxicity
@@ -15,6 +16,7 @@ QUERIES = {
     "op5_warc_round_trip": op5_warc_round_trip,
     "op7_best_fit_packing": op7_best_fit_packing,
     "op8_embedding_near_dedup": op8_embedding_near_dedup,
+    "op9_order_minhash": op9_order_minhash,
     "op10_near_duplicates": op10_near_duplicates,
 }
 
