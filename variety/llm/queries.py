@@ -4,6 +4,7 @@ from .embeddings import op8_embedding_near_dedup
 from .near_duplicates import op10_near_duplicates
 from .order_minhash import op9_order_minhash
 from .packing import op7_best_fit_packing
+from .passages import op3_substring_dedup
 from .secrets import op2_secret_scan
 from .toxicity import op1_toxicity
 from .urls import op4_url_filter
@@ -12,6 +13,7 @@ from .warc import op5_warc_round_trip
 QUERIES = {
     "op1_toxicity": op1_toxicity,
     "op2_secret_scan": op2_secret_scan,
+    "op3_substring_dedup": op3_substring_dedup,
     "op4_url_filter": op4_url_filter,
     "op5_warc_round_trip": op5_warc_round_trip,
     "op7_best_fit_packing": op7_best_fit_packing,
