@@ -124,7 +124,7 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
 
     Texts with one set are one class, represented by its smallest doc_id. In each band's
     bucket every member meets the bucket's smallest first. Members of one component need
-    no further comparison. Where a bucket holds several components, its texts meet by their
+    no further comparison. Where a bucket holds several components, its texts meet by their own
     rarest shingles, which loses no link, so that no bucket is expanded into all its pairs.
     """
     bands = band_count(percent / 100)
