@@ -6,6 +6,7 @@ from .order_minhash import op9_order_minhash
 from .packing import op7_best_fit_packing
 from .passages import op3_substring_dedup
 from .secrets import op2_secret_scan
+from .segmentations import op6_sampled_segmentations
 from .toxicity import op1_toxicity
 from .urls import op4_url_filter
 from .warc import op5_warc_round_trip
@@ -16,6 +17,7 @@ QUERIES = {
     "op3_substring_dedup": op3_substring_dedup,
     "op4_url_filter": op4_url_filter,
     "op5_warc_round_trip": op5_warc_round_trip,
+    "op6_sampled_segmentations": op6_sampled_segmentations,
     "op7_best_fit_packing": op7_best_fit_packing,
     "op8_embedding_near_dedup": op8_embedding_near_dedup,
     "op9_order_minhash": op9_order_minhash,
