@@ -15,7 +15,7 @@ from .components import components
 #: Cell centres are fitted on at most so many vectors, and on at most so many bytes of them.
 FIT_ROWS, FIT_BYTES = 50_000, 32 << 20
 MOST_CELLS = 4096
-BLOCK_ROWS = 512
+BLOCK_ROWS = 2048
 #: A pair of linked vectors is lost only if it is spread along the normal of two cells' border
 #: by more than this many standard deviations of an even spread.
 MARGIN_SIGMAS = 4.0
