@@ -141,12 +141,12 @@ def _cast(spark, d):
 
 
 def _rounded(df):
-    return df.select("o_orderkey", F.round("cast_reputation", 2).alias("reputation"), F.round("cast_experience", 4).alias("experience"))
+    return df.select("o_orderkey", F.round("cast_reputation", 1).alias("reputation"), F.round("cast_experience", 4).alias("experience"))
 
 
 @query(
     "tab_reputation_train",
-    f"WITH {MEM}, s AS (SELECT p, count(*) AS n, avg(y) AS r FROM k WHERE p IS NOT NULL GROUP BY 1) SELECT k.o AS o_orderkey, round(avg(coalesce(s.r, g)), 2) AS reputation, round(avg(coalesce(s.n, 0)), 4) AS experience FROM k LEFT JOIN s ON s.p = k.p CROSS JOIN g GROUP BY 1",
+    f"WITH {MEM}, s AS (SELECT p, count(*) AS n, avg(y) AS r FROM k WHERE p IS NOT NULL GROUP BY 1) SELECT k.o AS o_orderkey, round(avg(coalesce(s.r, g)), 1) AS reputation, round(avg(coalesce(s.n, 0)), 4) AS experience FROM k LEFT JOIN s ON s.p = k.p CROSS JOIN g GROUP BY 1",
 )
 def _(spark, d):
     return _rounded(T.reputation(_cast(spark, d), "o_orderkey", "suppliers", "y_noise"))
@@ -154,7 +154,7 @@ def _(spark, d):
 
 @query(
     "tab_reputation_loo",
-    f"WITH {MEM}, s AS (SELECT p, count(*) AS n, sum(y) AS s FROM k WHERE p IS NOT NULL GROUP BY 1) SELECT k.o AS o_orderkey, round(avg(coalesce((s.s - k.y) / nullif(s.n - 1, 0), g)), 2) AS reputation, round(avg(coalesce(s.n - 1, 0)), 4) AS experience FROM k LEFT JOIN s ON s.p = k.p CROSS JOIN g GROUP BY 1",
+    f"WITH {MEM}, s AS (SELECT p, count(*) AS n, sum(y) AS s FROM k WHERE p IS NOT NULL GROUP BY 1) SELECT k.o AS o_orderkey, round(avg(coalesce((s.s - k.y) / nullif(s.n - 1, 0), g)), 1) AS reputation, round(avg(coalesce(s.n - 1, 0)), 4) AS experience FROM k LEFT JOIN s ON s.p = k.p CROSS JOIN g GROUP BY 1",
 )
 def _(spark, d):
     return _rounded(T.reputation(_cast(spark, d), "o_orderkey", "suppliers", "y_noise", "leave_one_out"))
@@ -163,7 +163,7 @@ def _(spark, d):
 @query(
     "tab_reputation_asof",
     f"""WITH {MEM}, q AS (SELECT p, t, count(*) AS n, sum(y) AS s FROM k WHERE p IS NOT NULL GROUP BY 1, 2), w AS (SELECT p, t, sum(n) OVER (PARTITION BY p ORDER BY t ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS n, sum(s) OVER (PARTITION BY p ORDER BY t ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS s FROM q)
-    SELECT k.o AS o_orderkey, round(avg(coalesce(w.s / w.n, g)), 2) AS reputation, round(avg(coalesce(w.n, 0)), 4) AS experience FROM k LEFT JOIN w ON w.p = k.p AND w.t = k.t CROSS JOIN g GROUP BY 1""",
+    SELECT k.o AS o_orderkey, round(avg(coalesce(w.s / w.n, g)), 1) AS reputation, round(avg(coalesce(w.n, 0)), 4) AS experience FROM k LEFT JOIN w ON w.p = k.p AND w.t = k.t CROSS JOIN g GROUP BY 1""",
 )
 def _(spark, d):
     return _rounded(T.reputation(_cast(spark, d), "o_orderkey", "suppliers", "y_noise", "as_of", day="o_orderdate"))

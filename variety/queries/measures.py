@@ -78,8 +78,8 @@ def _(spark, d):
     return rows.select("doc_id", E.soft_vote(MEMBERS, 2).alias("vote"))
 
 
-@query("ens_topk_weights", "SELECT * FROM (VALUES ('logistic', 0.88), ('svm', 0.881)) t(model, weight)")
+@query("ens_topk_weights", "SELECT model, CAST(weight AS DOUBLE) AS weight FROM (VALUES ('logistic', 0.88), ('svm', 0.881)) t(model, weight)")
 def _(spark, d):
     scores = {"svm": 0.881, "logistic": 0.88, "mlp": 0.8752, "adaboost": 0.8006}
     w = E.weights({m: scores[m] for m in E.top_k(scores, 2)})
-    return spark.createDataFrame(list(w.items()), "model string, weight double").withColumn("weight", F.col("weight").cast("decimal(4,3)"))
+    return spark.createDataFrame(list(w.items()), "model string, weight double")

@@ -15,7 +15,7 @@ def fitted(spark, d, family, target="y_lin", params=None, task="binary"):
 
 
 for _family in DEFAULTS:
-    if _family == "linear_regression":
+    if _family in ("linear_regression", "majority"):
         continue
 
     @query(f"mod_{_family}")

@@ -102,9 +102,9 @@ def _(spark, d):
     return spark.createDataFrame(rows, "step int, uniform_weight double, one_point_weight double")
 
 
-@query("hpo_elitism", "SELECT trial, score FROM (VALUES (0, 0.5), (1, 0.9), (2, 0.7), (3, 0.9)) t(trial, score) ORDER BY score DESC, trial LIMIT 2")
+@query("hpo_elitism", "SELECT trial, CAST(score AS DOUBLE) AS score FROM (VALUES (0, 0.5), (1, 0.9), (2, 0.7), (3, 0.9)) t(trial, score) ORDER BY score DESC, trial LIMIT 2")
 def _(spark, d):
-    rows = spark.createDataFrame([(0, 0.5), (1, 0.9), (2, 0.7), (3, 0.9)], "trial int, score double").withColumn("score", F.col("score").cast("decimal(2,1)"))
+    rows = spark.createDataFrame([(0, 0.5), (1, 0.9), (2, 0.7), (3, 0.9)], "trial int, score double")
     return rows.orderBy(F.desc("score"), "trial").limit(2)
 
 

@@ -28,11 +28,11 @@ def _(spark, d):
 @query(
     "samp_nested_buckets",
     f"""WITH r AS (SELECT l_orderkey, {uniform_sql("sample", "l_orderkey")} AS u FROM lineitem)
-    SELECT CAST(CASE WHEN u < 0.02 THEN 2 WHEN u < 0.08 THEN 8 WHEN u < 0.15 THEN 15 WHEN u < 0.3 THEN 30 WHEN u < 0.45 THEN 45 ELSE 100 END AS INTEGER) AS rho_bucket, count(*) AS n, sum(l_orderkey) AS keys FROM r GROUP BY 1""",
+    SELECT CAST(CASE WHEN u < 0.02 THEN 2 WHEN u < 0.08 THEN 8 WHEN u < 0.15 THEN 15 WHEN u < 0.3 THEN 30 WHEN u < 0.45 THEN 45 ELSE 100 END AS INTEGER) AS rho_bucket, count(*) AS n, CAST(sum(l_orderkey) AS BIGINT) AS keys FROM r GROUP BY 1""",
 )
 def _(spark, d):
     rows = S.nested_samples(load(spark, d, "lineitem").select("l_orderkey"), "l_orderkey")
-    return rows.groupBy("rho_bucket").agg(F.count(F.lit(1)).alias("n"), F.sum("l_orderkey").cast("decimal(38,0)").alias("keys"))
+    return rows.groupBy("rho_bucket").agg(F.count(F.lit(1)).alias("n"), F.sum("l_orderkey").alias("keys"))
 
 
 @query(
@@ -46,9 +46,9 @@ def _(spark, d):
     return S.proportion_drift(load(spark, d, "documents").select("doc_id", "lang"), "doc_id", "lang")
 
 
-@query("samp_uniform", f"SELECT count(*) AS n, sum(event_id) AS ids FROM events WHERE {uniform_sql('uniform', 'event_id')} < 0.15")
+@query("samp_uniform", f"SELECT count(*) AS n, CAST(sum(event_id) AS BIGINT) AS ids FROM events WHERE {uniform_sql('uniform', 'event_id')} < 0.15")
 def _(spark, d):
-    return S.uniform_sample(load(spark, d, "events"), "event_id", 0.15).agg(F.count(F.lit(1)).alias("n"), F.sum("event_id").cast("decimal(38,0)").alias("ids"))
+    return S.uniform_sample(load(spark, d, "events"), "event_id", 0.15).agg(F.count(F.lit(1)).alias("n"), F.sum("event_id").alias("ids"))
 
 
 @query("samp_sampleby")
