@@ -48,7 +48,7 @@ def order_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
     customer = load(spark, sf_dir, "customer").select(F.col("c_custkey").alias("o_custkey"), "c_nationkey").join(F.broadcast(nation), "c_nationkey")
     rows = load(spark, sf_dir, "orders").join(customer, "o_custkey").join(per, "o_orderkey", "left")
     low, high = REVENUE
-    scaled = 1 + 9 * F.least(F.greatest((F.col("revenue") - low) / (high - low), F.lit(0.0)), F.lit(1.0))
+    scaled = F.when(F.col("revenue").isNotNull(), 1 + 9 * F.least(F.greatest((F.col("revenue") - low) / (high - low), F.lit(0.0)), F.lit(1.0)))
     empty = lambda c: F.coalesce(F.col(c), F.array().cast("array<string>" if c == "brands" else "array<bigint>")).alias(c)
     rows = rows.select("o_orderkey", "o_custkey", "nation", "c_nationkey", "o_orderdate", "o_orderpriority", scaled.alias("y_rev"), F.col("o_totalprice").alias("y_noise"), empty("brands"), empty("suppliers"), empty("parts"), "lead_supplier", F.coalesce("n_lines", F.lit(0)).alias("n_lines"), "title")
     return folds(holdout(rows, "o_orderkey"), "o_orderkey", 5)
