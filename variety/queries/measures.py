@@ -83,3 +83,27 @@ def _(spark, d):
     scores = {"svm": 0.881, "logistic": 0.88, "mlp": 0.8752, "adaboost": 0.8006}
     w = E.weights({m: scores[m] for m in E.top_k(scores, 2)})
     return spark.createDataFrame(list(w.items()), "model string, weight double")
+
+
+@query("met_augmentation_balance", "WITH c AS (SELECT quality, count(*) / sum(count(*)) OVER () AS p FROM labels GROUP BY 1) SELECT quality, round(p, 6) AS share, round((SELECT -sum(p * ln(p)) FROM c), 6) AS entropy FROM c")
+def _(spark, d):
+    from pyspark.sql import Window
+
+    counts = load(spark, d, "labels").groupBy("quality").agg(F.count(F.lit(1)).alias("n"))
+    every = Window.partitionBy()
+    rows = counts.withColumn("p", F.col("n") / F.sum("n").over(every))
+    return rows.select("quality", F.round("p", 6).alias("share"), F.round(-F.sum(F.col("p") * F.log("p")).over(every), 6).alias("entropy"))
+
+
+@query("ens_lift", "SELECT round(0.8641 - 0.8809, 6) AS lift")
+def _(spark, d):
+    return spark.createDataFrame([(round(E.lift(0.8641, {"svm": 0.8809, "logistic": 0.88}), 6),)], "lift double").withColumn("lift", F.round("lift", 6))
+
+
+@query("met_sample_sufficiency")
+def _(spark, d):
+    from .workloads import _scores
+
+    rows = _scores(spark, d, ("logistic",), "y_lin", 15).unionByName(_scores(spark, d, ("logistic",), "y_lin", 45))
+    best = rows.agg(F.max(F.when(F.col("rho") == 45, F.col("test_accuracy"))).alias("full"))
+    return rows.join(F.broadcast(best)).select("rho", F.round(F.col("test_accuracy") / F.col("full"), 4).alias("of_full"))

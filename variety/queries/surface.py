@@ -180,3 +180,78 @@ def _(spark, d):
     stats = "SELECT o_custkey, count(*) AS n, avg(o_totalprice) AS m FROM v_orders GROUP BY o_custkey"
     rows = spark.sql(f"SELECT o_custkey, smooth_encode(n, m, g, 20D, 10D) AS e FROM ({stats}) CROSS JOIN (SELECT avg(o_totalprice) AS g FROM v_orders)")
     return rows.select("o_custkey", F.round("e", 4).alias("encoded"))
+
+
+@query("op_join_interval", "SELECT count(*) AS n FROM orders JOIN lineitem ON l_orderkey = o_orderkey AND l_shipdate >= o_orderdate AND l_shipdate < o_orderdate + INTERVAL 30 DAY")
+def _(spark, d):
+    near = (F.col("l_shipdate") >= F.col("o_orderdate")) & (F.col("l_shipdate") < F.col("o_orderdate") + F.expr("INTERVAL 30 DAY"))
+    return load(spark, d, "orders").join(load(spark, d, "lineitem"), (F.col("l_orderkey") == F.col("o_orderkey")) & near).agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("op_join_nullsafe", "SELECT count(*) AS n FROM (VALUES (1), (NULL), (2)) a(x) JOIN (VALUES (1), (NULL)) b(y) ON x IS NOT DISTINCT FROM y")
+def _(spark, d):
+    a, b = spark.createDataFrame([(1,), (None,), (2,)], "x int"), spark.createDataFrame([(1,), (None,)], "y int")
+    return a.join(b, F.col("x").eqNullSafe(F.col("y"))).agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("op_quantile", "SELECT event_type, round(quantile_cont(value, 0.5), 6) AS mid, round(quantile_cont(value, 0.9), 6) AS high FROM events GROUP BY 1")
+def _(spark, d):
+    return load(spark, d, "events").groupBy("event_type").agg(F.round(F.percentile("value", 0.5), 6).alias("mid"), F.round(F.percentile("value", 0.9), 6).alias("high"))
+
+
+@query("op_map", "SELECT n_regionkey, count(*) AS entries FROM nation GROUP BY 1")
+def _(spark, d):
+    m = load(spark, d, "nation").groupBy("n_regionkey").agg(F.map_from_entries(F.collect_list(F.struct("n_nationkey", "n_name"))).alias("m"))
+    return m.select("n_regionkey", F.size(F.transform_values("m", lambda k, v: F.lower(v))).cast("long").alias("entries"))
+
+
+@query("op_array_nested", "SELECT conv_id, count(*) AS turns, string_agg(role, '>' ORDER BY turn) AS roles FROM conversations GROUP BY 1")
+def _(spark, d):
+    rows = load(spark, d, "conversations").groupBy("conv_id").agg(F.array_sort(F.collect_list(F.struct("turn", "role"))).alias("t"))
+    return rows.select("conv_id", F.size("t").cast("long").alias("turns"), F.array_join(F.transform("t", lambda x: x["role"]), ">").alias("roles"))
+
+
+@query("op_variant", "SELECT CAST(json_extract(props, '$.k') AS INTEGER) AS k, count(*) AS n FROM events GROUP BY 1")
+def _(spark, d):
+    return load(spark, d, "events").groupBy(F.variant_get(F.parse_json("props"), "$.k", "int").alias("k")).agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("op_win_share", "SELECT o_orderkey, CAST(ntile(4) OVER (ORDER BY o_orderkey) AS INTEGER) AS quarter, round(percent_rank() OVER (PARTITION BY o_orderstatus ORDER BY o_orderkey), 6) AS place FROM orders WHERE o_orderkey < 500")
+def _(spark, d):
+    rows = load(spark, d, "orders").where("o_orderkey < 500")
+    return rows.select("o_orderkey", F.ntile(4).over(Window.orderBy("o_orderkey")).alias("quarter"), F.round(F.percent_rank().over(Window.partitionBy("o_orderstatus").orderBy("o_orderkey")), 6).alias("place"))
+
+
+@query("op_approx")
+def _(spark, d):
+    return load(spark, d, "lineitem").agg(F.approx_count_distinct("l_partkey", 0.02).alias("parts"), F.percentile_approx("l_quantity", 0.5).alias("mid"))
+
+
+@query("op_udtf")
+def _(spark, d):
+    from pyspark.sql.functions import udtf
+
+    @udtf(returnType="gram: string")
+    class WordGrams:
+        """Runs of n words of a text."""
+
+        def eval(self, text: str, n: int):
+            words = (text or "").split()
+            for i in range(len(words) - n + 1):
+                yield (" ".join(words[i : i + n]),)
+
+    spark.udtf.register("word_grams", WordGrams)
+    load(spark, d, "benchmark").createOrReplaceTempView("v_benchmark")
+    return spark.sql("SELECT item_id, count(*) AS grams FROM v_benchmark, LATERAL word_grams(text, 3) GROUP BY item_id")
+
+
+@query("op_sink_roundtrip", "SELECT l_returnflag, count(*) AS n, sum(l_linenumber)::BIGINT AS lines FROM lineitem GROUP BY 1")
+def _(spark, d):
+    import tempfile
+    import uuid
+
+    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir") or tempfile.gettempdir()
+    path = f"{base.rstrip('/')}/sink-{uuid.uuid4().hex}"
+    load(spark, d, "lineitem").select("l_orderkey", "l_linenumber", "l_returnflag").write.partitionBy("l_returnflag").parquet(path)
+    back = spark.read.schema("l_orderkey bigint, l_linenumber int, l_returnflag string").parquet(path)
+    return back.groupBy("l_returnflag").agg(F.count(F.lit(1)).alias("n"), F.sum("l_linenumber").alias("lines"))

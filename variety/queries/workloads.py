@@ -148,7 +148,7 @@ def hybrid_features(spark, d, target="y_rev", mode="leave_one_out", blocks=("num
 
 
 def _regress(rows, families, name):
-    out = None
+    rows, out = rows.persist(), None
     for f in families:
         model = fit(f, rows.where("split = 'train'"), {"reg": 0.001} if f == "linear_regression" else None, "regression")
         got = M.regression(model.transform(rows), by=("split",)).withColumns({"family": F.lit(f), "variant": F.lit(name)})
