@@ -40,16 +40,21 @@ def scratch_path(spark: SparkSession, name: str) -> str:
     return path
 
 
-def drop_path(spark: SparkSession, path: str) -> None:
-    place = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
-    place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(place, True)
+def drop_written(*frames: DataFrame) -> None:
+    """Remove tables that ``written`` made, once nothing reads them any more."""
+    for df in frames:
+        jvm = df.sparkSession.sparkContext._jvm
+        place = jvm.org.apache.hadoop.fs.Path(df._written_path)
+        place.getFileSystem(df.sparkSession.sparkContext._jsc.hadoopConfiguration()).delete(place, True)
 
 
 def written(df: DataFrame, name: str) -> DataFrame:
     """The rows of ``df`` from a table written to the shared folder: lineage ends here."""
     path = scratch_path(df.sparkSession, name)
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    back = df.sparkSession.read.schema(df.schema).parquet(path)
+    back._written_path = path
+    return back
 
 
 def string_buffers(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:

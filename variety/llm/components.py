@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import written
+from .common import drop_written, written
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -26,7 +26,8 @@ def components(links: DataFrame) -> DataFrame:
         large = written(large, "links")
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         moved = large.join(least, "u").where("v > m").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        pairs = written(moved.unionByName(least.select("u", F.col("m").alias("v"))).distinct(), "links")
+        old, pairs = pairs, written(moved.unionByName(least.select("u", F.col("m").alias("v"))).distinct(), "links")
+        drop_written(old, large)
         now = _state(pairs)
         if now == state:
             break

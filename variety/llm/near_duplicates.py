@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import bytescan as B
-from .common import slices, string_buffers, table, text_frame, written
+from .common import drop_written, slices, string_buffers, table, text_frame, written
 from .components import components
 
 BAND_ROWS = 5
@@ -159,6 +159,7 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     second = written(second, "links")
     if not second.isEmpty():
         label = written(components(links.unionByName(second)), "labels")
+    drop_written(members, sets, first, placed, second)
     named = classes.join(label.select(F.col("node").alias("head"), "component"), "head", "left").select(
         "print_a", "print_b", F.coalesce("component", "head").alias("component")
     )
