@@ -6,6 +6,7 @@ import re
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -281,13 +282,36 @@ def test_segmentations_are_distinct_and_exact(spark):
     assert sorted(map(tuple, [(r["doc_id"], r["rank"], r["ids_crc32"]) for r in got])) == sorted((r["doc_id"], r["rank"], r["ids_crc32"]) for r in again)
 
 
+def test_lattices_fall_apart_only_where_no_piece_is():
+    from variety.llm import segmentations as S
+
+    pieces = S.Pieces(S.vocabulary_path("piece_bpe_32k.model"))
+    spelt = {x.replace(S.SPACE, " "): v for x, v in pieces.weight.items()}
+    text = "x" + " l'été, (foo)bar\n▁▁a12 ##%% 漢字, ﬁn" * 2
+    whole = S.Search(S.Lattices(pieces), pa.array([text]), np.zeros(1, np.uint64))
+    spaced = " " + text
+    mass = [0.0] * (len(spaced) + 1)
+    for i in range(len(spaced) - 1, -1, -1):
+        ways = [spelt[x][1] + mass[j] for j in range(i + 1, min(len(spaced), i + S.MOST_PIECE) + 1) if (x := spaced[i:j]) in spelt]
+        if spaced[i] not in spelt:
+            ways.append(pieces.byte_weight * len(spaced[i].encode()) + mass[i + 1])
+        mass[i] = float(np.logaddexp.reduce(ways))
+    for edges, log_prob, *_ in whole.run(5)[0][:5]:
+        ids = [i for c in whole.code[edges].tolist() for i in pieces.ids_of(c)]
+        weight = sum(pieces.byte_weight * len(chr(-c - 1).encode()) if c < 0 else dict((v[0], v[1]) for v in spelt.values())[c] for c in whole.code[edges].tolist())
+        assert pieces.decode(ids) == text and abs(log_prob - (weight - mass[0])) < 1e-6
+    held = S.Lattices(pieces, most=3)
+    apart = [S.Search(held, pa.array([t]), np.array([7], np.uint64)).run(2)[0][0][1] for t in ("abc def", "ghi abc def, jk", "abc def")]
+    assert apart[0] == apart[2]
+
+
 def test_segmentation_frequencies():
     from variety.llm import bytescan as B
     from variety.llm import segmentations as S
 
     pieces = S.Pieces(S.vocabulary_path("piece_bpe_32k.model"), power=0.3)
     n = 6000
-    found = S.Search(pieces, ["abc"] * n, B.mix64(np.arange(n, dtype=np.uint64))).run(2)
+    found = S.Search(S.Lattices(pieces), pa.array(["abc"] * n), B.mix64(np.arange(n, dtype=np.uint64))).run(2)
     chance, first, second = {}, {}, {}
     for r in found:
         for x in r[:2]:
