@@ -100,3 +100,40 @@ def test_empty_tables(spark):
     assert metrics.classification(rows).count() == 1
     assert tabular.target_encode(rows, "k", "y").count() == 0
     assert sampling.stratified(rows, "id", "label", 0.5, "exact").count() == 0
+
+
+def test_stream_results_equal_batch_results(spark):
+    from pyspark.sql import functions as F
+
+    from variety.models.registry import fit
+    from variety.plans import workloads as W
+    from variety.queries import QUERIES
+    from variety.sources.tables import load
+    from variety.streaming import windows as S
+
+    d = "/root/testdata/sf0.001"
+    rows = W.dense(spark, d).withColumn("label", F.col("y_lin").cast("double"))
+    batch = fit("discriminant", rows.where("split = 'train'"), None, "binary").transform(rows).select("vec_id", "prediction")
+    assert sorted(map(tuple, batch.collect())) == sorted(map(tuple, QUERIES["op_stream_scoring"](spark, d).collect()))
+    pairs = S.followed_within(S.stamped(load(spark, d, "events")), "click", "purchase")
+    assert sorted(map(tuple, pairs.collect())) == sorted(map(tuple, QUERIES["op_stream_followed"](spark, d).collect()))
+
+
+def test_sparse_text_round_trip(spark, tmp_path):
+    from variety.sources.tables import read_sparse_text, write_sparse_text
+
+    rows = [(1.0, [0.0, 2.5, -1e-7]), (0.0, [0.0, 0.0, 0.0])]
+    write_sparse_text(spark.createDataFrame(rows, "label double, features array<double>"), str(tmp_path / "x"))
+    assert sorted((r[0], r[1]) for r in read_sparse_text(spark, str(tmp_path / "x"), 3).collect()) == sorted(rows)
+
+
+def test_fitted_encoders_take_empty_texts(spark):
+    from pyspark.sql import functions as F
+
+    from variety.operators import text as X
+
+    rows = spark.createDataFrame([("a b c a b",), ("",), (None,), ("b c d",)], "text string")
+    toks = X.tokens(F.coalesce(F.col("text"), F.lit("")))
+    for encoder in (X.fit_word2vec(rows, toks, 4, 1), X.fit_tfidf_pca(rows, toks, 2, 16)):
+        got = {r["text"]: r["features"] for r in X.encode_fields(rows, ["text"], encoder).collect()}
+        assert all(len(v) == encoder.d for v in got.values()) and got[""] == got[None] == [0.0] * encoder.d

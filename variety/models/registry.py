@@ -36,6 +36,7 @@ DEFAULTS: dict[str, dict[str, Any]] = {
     "second_order_boost": {"rounds": 10, "lr": 0.3, "leaves": 64, "depth": 6},
     "gbt": {"rounds": 10, "depth": 5},
     "naive_bayes": {},
+    "factorization": {"factors": 2, "reg": 0.1, "iterations": 100, "lr": 0.05},
     "majority": {},
 }
 
@@ -251,6 +252,11 @@ def fit(family: str, df: DataFrame, params: dict | None = None, task: str = "bin
         return _spark(kind(maxIter=int(p["rounds"]), maxDepth=int(p["depth"]), seed=42), df)
     if family == "naive_bayes":
         return _spark(C.NaiveBayes(modelType="gaussian"), df)
+    if family == "factorization":
+        kind = R.FMRegressor if task == "regression" else C.FMClassifier
+        if task != "regression" and classes > 2:
+            raise ValueError("factorisation machines separate two classes")
+        return _spark(kind(factorSize=int(p["factors"]), regParam=p["reg"], maxIter=int(p["iterations"]), stepSize=p["lr"], seed=42), df)
     if family == "adaboost":
         return fit_adaboost(df, int(p["n"]), p["lr"], int(p["depth"]), classes)
     if family in ("leafwise_boost", "second_order_boost"):

@@ -152,9 +152,49 @@ class HashedProjectionEncoder:
         return F.pandas_udf(run, "array<double>")(F.transform(toks, lambda t: F.xxhash64(t)))
 
 
+class FittedEncoder:
+    """A Spark ML model from token lists to vectors, behind the shape that ``encode_fields`` takes. Empty and null lists give zeros."""
+
+    def __init__(self, stages, d: int):
+        self.stages, self.d = stages, d
+
+    def transform(self, df: DataFrame, toks: Column, to: str) -> DataFrame:
+        from pyspark.ml.functions import vector_to_array
+
+        out = df.withColumn("_t0", F.coalesce(toks, F.array().cast("array<string>")))
+        for model in self.stages:
+            out = model.transform(out)
+        out = out.withColumn(to, vector_to_array(f"_t{len(self.stages)}"))
+        return out.drop(*(f"_t{i}" for i in range(len(self.stages) + 1)))
+
+
+def fit_word2vec(df: DataFrame, toks: Column, d: int = 64, min_count: int = 5, window: int = 5, iterations: int = 1) -> FittedEncoder:
+    """Means of word vectors. The vocabulary, with ``min_count`` uses at least, goes through the driver: raise that with the corpus."""
+    from pyspark.ml.feature import Word2Vec
+
+    rows = df.select(F.coalesce(toks, F.array().cast("array<string>")).alias("_t0"))
+    return FittedEncoder([Word2Vec(inputCol="_t0", outputCol="_t1", vectorSize=d, minCount=min_count, windowSize=window, maxIter=iterations, seed=42).fit(rows)], d)
+
+
+def fit_tfidf_pca(df: DataFrame, toks: Column, d: int = 32, size: int = 1024) -> FittedEncoder:
+    """Hashed, rarity-weighted counts in ``size`` columns, projected to d; the driver sees size by size numbers."""
+    from pyspark.ml.feature import IDF, PCA, HashingTF
+
+    rows = df.select(F.coalesce(toks, F.array().cast("array<string>")).alias("_t0"))
+    counts = HashingTF(inputCol="_t0", outputCol="_t1", numFeatures=size)
+    rows = counts.transform(rows)
+    rarity = IDF(inputCol="_t1", outputCol="_t2").fit(rows)
+    return FittedEncoder([counts, rarity, PCA(k=d, inputCol="_t2", outputCol="_t3").fit(rarity.transform(rows))], d)
+
+
 def encode_fields(df: DataFrame, fields: list[str], encoder=None, to: str = "features") -> DataFrame:
     """The encodings of each field, one after the other."""
     encoder = encoder or HashedProjectionEncoder()
+    if isinstance(encoder, FittedEncoder):
+        for i, f in enumerate(fields):
+            df = encoder.transform(df, tokens(F.coalesce(F.col(f), F.lit(""))), f"_field{i}")
+        names = [f"_field{i}" for i in range(len(fields))]
+        return df.withColumn(to, F.concat(*names)).drop(*names)
     return df.withColumn(to, F.concat(*(encoder.encode(tokens(F.coalesce(F.col(f), F.lit("")))) for f in fields)))
 
 

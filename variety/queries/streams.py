@@ -44,3 +44,44 @@ def _(spark, d):
     from ..sources.tables import load
 
     return S.sessions(S.stamped(load(spark, d, "events")))
+
+
+@query("op_stream_static_join", "SELECT event_type, count(*) AS n, round(sum((value - m) * (value - m)), 2) AS residual FROM events JOIN (SELECT event_type, round(avg(value), 6) AS m FROM events GROUP BY 1) USING (event_type) GROUP BY 1")
+def _(spark, d):
+    from ..sources.tables import load
+
+    frozen = S.encoding_statistics(load(spark, d, "events")).select("event_type", "mean_value")
+    rows = _ran(spark, lambda s: S.with_frozen_encodings(s.select("event_type", "value"), frozen), "append")(d)
+    return rows.groupBy("event_type").agg(F.count(F.lit(1)).alias("n"), F.round(F.sum((F.col("value") - F.col("mean_value")) * (F.col("value") - F.col("mean_value"))), 2).alias("residual"))
+
+
+@query(
+    "op_stream_followed",
+    "SELECT a.user_id, a.event_id AS first_id, b.event_id AS then_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts BETWEEN a.ts AND a.ts + INTERVAL 1 HOUR WHERE a.event_type = 'click' AND b.event_type = 'purchase'",
+)
+def _(spark, d):
+    return _ran(spark, lambda s: S.followed_within(s, "click", "purchase"), "append")(d)
+
+
+@query(
+    "op_stream_smoothing",
+    "SELECT user_id, count(value) AS n, round(l * avg(value) + (1 - l) * 50, 4) AS encoding FROM (SELECT *, 1 / (1 + exp(-(count(value) OVER (PARTITION BY user_id) - 20) / 10.0)) AS l FROM events) GROUP BY user_id, l",
+)
+def _(spark, d):
+    rows = _ran(spark, lambda s: S.smoothed(s, 50.0), "update")(d)
+    return rows.groupBy("user_id").agg(F.max("n").alias("n"), F.round(F.max_by("encoding", "n"), 4).alias("encoding"))
+
+
+@query("op_stream_scoring")
+def _(spark, d):
+    from ..models.registry import fit
+    from ..plans import workloads as W
+    from ..sources.tables import SCHEMAS
+
+    rows = W.dense(spark, d).withColumn("label", F.col("y_lin").cast("double"))
+    model = fit("discriminant", rows.where("split = 'train'"), None, "binary")
+    stream = spark.readStream.schema(SCHEMAS["embeddings"]).parquet(f"{d}/embeddings.parquet*").select("vec_id", F.col("embedding").cast("array<double>").alias("features"))
+    name = f"s_{uuid.uuid4().hex}"
+    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir") or "/tmp/variety-streams"
+    S.run_once(model.transform(stream).select("vec_id", "prediction"), name, f"{base.rstrip('/')}/{name}", "append")
+    return spark.table(name)

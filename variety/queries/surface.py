@@ -15,6 +15,30 @@ for _t in ("region", "nation", "supplier", "events"):
         return spark.read.schema(SCHEMAS[t]).parquet(f"{d}/{t}.parquet")
 
 
+def _shared(spark, name):
+    import uuid
+
+    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir") or "/tmp/variety-surface"
+    return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+
+
+@query("op_scan_libsvm", "SELECT CAST(label % 2 AS DOUBLE) AS label, count(*) AS n, round(sum(CAST(embedding[1] AS DOUBLE)), 4) AS first_column FROM embeddings GROUP BY 1")
+def _(spark, d):
+    from ..sources.tables import read_sparse_text, write_sparse_text
+
+    path = _shared(spark, "libsvm")
+    rows = load(spark, d, "embeddings")
+    write_sparse_text(rows.select((F.col("label") % 2).alias("label"), F.col("embedding").cast("array<double>").alias("features")), path)
+    return read_sparse_text(spark, path, 64).groupBy("label").agg(F.count(F.lit(1)).alias("n"), F.round(F.sum(F.get("features", F.lit(0))), 4).alias("first_column"))
+
+
+@query("op_scan_text", "SELECT sum(len(string_split(text, chr(10)))) AS lines FROM benchmark")
+def _(spark, d):
+    path = _shared(spark, "text")
+    load(spark, d, "benchmark").select(F.col("text").alias("value")).write.text(path)
+    return spark.read.text(path).agg(F.count(F.lit(1)).alias("lines"))
+
+
 @query("op_project", "SELECT o_orderkey, o_totalprice * 2 AS doubled, upper(o_orderpriority) AS priority FROM orders")
 def _(spark, d):
     return load(spark, d, "orders").select("o_orderkey", (F.col("o_totalprice") * 2).alias("doubled"), F.upper("o_orderpriority").alias("priority"))

@@ -111,6 +111,28 @@ def _(spark, d):
     return one.agg(F.max(F.size("joined")).alias("joined")).join(F.broadcast(two.agg(F.max(F.size("features")).alias("two_fields"))))
 
 
+def _encoder_gap(spark, d, fit_encoder):
+    from ..models.registry import fit
+    from ..operators import metrics as M
+    from ..operators.sampling import holdout
+
+    rows = holdout(W.reviews(spark, d), "doc_id").withColumn("label", (F.col("type") == "en").cast("double"))
+    encoder = fit_encoder(rows.where("split = 'train'"), X.tokens(F.coalesce(F.col("body"), F.lit(""))))
+    coded = X.encode_fields(rows, ["title", "body"], encoder).select("doc_id", "split", "label", "features")
+    model = fit("logistic", coded.where("split = 'train'"), None, "binary")
+    return M.gap(model.transform(coded).withColumn("prediction", F.col("prediction").cast("double")))
+
+
+@query("txt_encode_word2vec")
+def _(spark, d):
+    return _encoder_gap(spark, d, X.fit_word2vec)
+
+
+@query("txt_encode_tfidf_pca")
+def _(spark, d):
+    return _encoder_gap(spark, d, X.fit_tfidf_pca)
+
+
 @query("txt_tfidf")
 def _(spark, d):
     rows = X.tfidf(_docs(spark, d).select("doc_id", X.tokens(F.col("text")).alias("t")), "t")

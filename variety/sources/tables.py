@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 SCHEMAS = {
     "region": "r_regionkey int, r_name string",
@@ -36,3 +37,24 @@ def bucketed(df: DataFrame, name: str, key: str, n: int) -> DataFrame:
     """A table bucketed and sorted by ``key``: later joins and groupings on it need no shuffle."""
     df.write.mode("overwrite").bucketBy(n, key).sortBy(key).saveAsTable(name)
     return df.sparkSession.table(name)
+
+
+def write_sparse_text(df: DataFrame, path: str, label: str = "label", features: str = "features") -> None:
+    """Rows of label and array features as lines of index:value pairs, indices from 1, zeros left out."""
+    pairs = F.transform(F.sequence(F.lit(1), F.size(features)), lambda i: F.struct(i.alias("i"), F.element_at(features, i).alias("v")))
+    pairs = F.filter(pairs, lambda p: p["v"] != 0)
+    line = F.concat_ws(" ", F.col(label).cast("string"), F.array_join(F.transform(pairs, lambda p: F.concat_ws(":", p["i"].cast("string"), p["v"].cast("string"))), " "))
+    df.select(line.alias("value")).write.mode("overwrite").text(path)
+
+
+def read_sparse_text(spark: SparkSession, path: str, d: int) -> DataFrame:
+    """label and array features of d columns. The stated width saves the scan that would find it."""
+    from pyspark.ml.functions import vector_to_array
+
+    rows = spark.read.format("libsvm").option("numFeatures", d).load(path)
+    return rows.select("label", vector_to_array("features").alias("features"))
+
+
+def read_whole_texts(spark: SparkSession, path: str) -> DataFrame:
+    """path and text of each file, undecodable bytes replaced."""
+    return spark.read.format("binaryFile").load(path).select("path", F.decode("content", "UTF-8").alias("text"))

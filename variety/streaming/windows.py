@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -39,6 +41,35 @@ def encoding_statistics(df: DataFrame) -> DataFrame:
     return df.groupBy("event_type").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg("value"), 6).alias("mean_value"))
 
 
+def with_frozen_encodings(df: DataFrame, encodings: DataFrame) -> DataFrame:
+    """Stream rows beside encodings frozen at training; categories unseen there keep nulls. Spark broadcasts the small side by its size."""
+    return df.join(encodings, "event_type", "left")
+
+
+def followed_within(df: DataFrame, first: str, then: str, within: str = "1 hour", late: str = "10 minutes") -> DataFrame:
+    """Pairs of a user's events of two types, the second at most ``within`` after the first. Watermarks on both sides bound the state."""
+    a = df.where(F.col("event_type") == first).select(F.col("user_id"), F.col("event_id").alias("first_id"), F.col("ts").alias("first_ts"))
+    b = df.where(F.col("event_type") == then).select(F.col("user_id").alias("then_user"), F.col("event_id").alias("then_id"), F.col("ts").alias("then_ts"))
+    if df.isStreaming:
+        a, b = a.withWatermark("first_ts", late), b.withWatermark("then_ts", late)
+    return a.join(b, F.expr(f"user_id = then_user AND then_ts >= first_ts AND then_ts <= first_ts + INTERVAL {within}")).select("user_id", "first_id", "then_id")
+
+
+def smoothed(df: DataFrame, prior: float, k_min: float = 20.0, f: float = 10.0) -> DataFrame:
+    """Each user's running mean, drawn to ``prior`` while its count is small; the state is a count and a sum, updated batch by batch."""
+
+    def step(key, frames, state):
+        n, total = state.get if state.exists else (0, 0.0)
+        for x in frames:
+            values = x["value"].dropna()
+            n, total = n + len(values), total + float(values.sum())
+        state.update((n, total))
+        trust = 1.0 / (1.0 + math.exp(min(-(n - k_min) / f, 700.0)))
+        yield pd.DataFrame({"user_id": [key[0]], "n": [n], "encoding": [trust * total / n + (1 - trust) * prior if n else prior]})
+
+    return df.select("user_id", "value").groupBy("user_id").applyInPandasWithState(step, "user_id long, n long, encoding double", "n long, total double", "update", "NoTimeout")
+
+
 def run_once(stream: DataFrame, name: str, checkpoint: str, mode: str = "complete", each: Callable | None = None) -> None:
     """All that is there now, then stop. Results are in the memory table ``name``, or go to ``each(batch, id)``."""
     writer = stream.writeStream.outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True)
