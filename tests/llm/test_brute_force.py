@@ -152,6 +152,35 @@ def test_passages(spark):
     assert shared_passages(frame(spark, [])).count() == 0
 
 
+def test_several_passages_of_one_pair(spark):
+    from variety.llm.passages import shared_passages
+
+    rng = random.Random(18)
+    head, foot, long = prose(rng, 60), prose(rng, 60), prose(rng, 110).split()
+    rows = [
+        (1, f"{head} {prose(rng, 40)} {foot}"),
+        (2, f"{head} {prose(rng, 40)} {foot}"),
+        (3, " ".join(long)),
+        (4, " ".join(long[:55]) + " " + prose(rng, 35) + " " + " ".join(long[55:])),
+    ]
+    got = shared_passages(frame(spark, rows)).collect()
+    text = dict(rows)
+    parts = {(r["doc_id"], r["other_id"], text[r["doc_id"]][r["start"] : r["end"]]) for r in got}
+    assert parts == {(2, 1, head), (2, 1, foot), (4, 3, " ".join(long[:55])), (4, 3, " ".join(long[55:]))}
+    assert all(text[r["other_id"]][r["other_start"] : r["other_end"]] == text[r["doc_id"]][r["start"] : r["end"]] and r["similarity"] == 1 for r in got)
+
+
+def test_pieces_are_the_longest():
+    from variety.llm.passages import pieces
+
+    rng = np.random.default_rng(4)
+    for _ in range(20):
+        differ = (rng.random(200) < rng.choice([0.1, 0.25, 0.4])).astype(np.int64)
+        got = pieces(np.stack([np.ones(200, np.int64), np.ones(200, np.int64), differ], axis=1))
+        fits = [j - i for i in range(200) for j in range(i + 50, 201) if not differ[i] and not differ[j - 1] and 5 * differ[i:j].sum() <= j - i]
+        assert max((j - i for i, j in got), default=0) == max(fits, default=0)
+
+
 def test_chain_is_the_best_chain():
     from variety.llm.passages import chain
 
