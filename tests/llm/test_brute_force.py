@@ -170,6 +170,33 @@ def test_several_passages_of_one_pair(spark):
     assert all(text[r["other_id"]][r["other_start"] : r["other_end"]] == text[r["doc_id"]][r["start"] : r["end"]] and r["similarity"] == 1 for r in got)
 
 
+def test_passages_whose_parts_come_first_elsewhere(spark):
+    from variety.llm.passages import shared_passages
+
+    rng = random.Random(28)
+    halves, lines = prose(rng, 60).split(), prose(rng, 66).split()
+    whole, licence = " ".join(halves), " ".join(lines)
+    rows = [(1, f"{prose(rng, 40)} {' '.join(halves[:30])} {prose(rng, 9)}"), (2, f"{' '.join(halves[30:])} {prose(rng, 40)}")]
+    rows += [(3 + i, f"{prose(rng, 12)} {' '.join(lines[22 * i : 22 * i + 22])} {prose(rng, 30)}") for i in range(3)]
+    rows += [(10 + 4 * i, f"{prose(rng, 50)} {whole} {prose(rng, 40)}") for i in range(4)]
+    rows += [(11 + 4 * i, f"{prose(rng, 30)} {licence} {prose(rng, 40)}") for i in range(4)]
+    rows += [(12 + 4 * i, f"{prose(rng, 20)} {' '.join(halves[:30])} {prose(rng, 40)} {' '.join(lines[22:44])}") for i in range(4)]
+    for parts in (1, 12):
+        got = shared_passages(frame(spark, rows).repartition(parts)).collect()
+        text = dict(rows)
+        found = {r["doc_id"] for r in got if any(p in text[r["doc_id"]][r["start"] : r["end"]] for p in (whole, licence))}
+        assert found == {i for i, t in rows if i > 11 and (whole in t or licence in t)}
+
+
+def test_links_of_repeated_seeds():
+    from variety.llm.passages import links
+
+    seed = np.array([1, 1, 1, 1, 1, 2, 2, 3], np.uint32)
+    doc = np.array([1, 1, 2, 3, 3, 4, 4, 5])
+    row, other = links(seed, doc, np.arange(8))
+    assert sorted(zip(row.tolist(), other.tolist(), strict=True)) == [(2, 0), (2, 1), (3, 0), (3, 1), (3, 2), (4, 0), (4, 1), (4, 2)]
+
+
 def test_pieces_are_the_longest():
     from variety.llm.passages import pieces
 
