@@ -188,6 +188,22 @@ def test_passages_whose_parts_come_first_elsewhere(spark):
         assert found == {i for i, t in rows if i > 11 and (whole in t or licence in t)}
 
 
+@pytest.mark.parametrize("words", [55, 70])
+def test_passages_with_many_edits(spark, words):
+    from variety.llm.passages import shared_passages
+
+    rng = random.Random(38)
+    rows, number = [], 0
+    for step in (5, 6, 7, 8):
+        for _ in range(10):
+            own = prose(rng, words).split()
+            edited = [f"z{number}-{i}" if i % step == step - 1 else w for i, w in enumerate(own)]
+            rows += [(number, f"{prose(rng, 40)} {' '.join(own)} {prose(rng, 40)}"), (number + 1, f"{prose(rng, 40)} {' '.join(edited)} {prose(rng, 40)}")]
+            number += 2
+    got = shared_passages(frame(spark, rows)).collect()
+    assert {(r["doc_id"], r["other_id"]) for r in got} == {(i + 1, i) for i in range(0, number, 2)}
+
+
 def test_links_of_repeated_seeds():
     from variety.llm.passages import links
 
