@@ -467,6 +467,18 @@ def test_embeddings(spark):
     assert near_vectors(spark.createDataFrame([], "vec_id long, embedding array<float>")).count() == 0
 
 
+def test_embeddings_of_few_directions(spark):
+    from variety.llm.embeddings import near_vectors
+
+    rng = np.random.default_rng(17)
+    x = rng.normal(size=(1200, 4)) @ np.linalg.qr(rng.normal(size=(256, 4)))[0].T
+    got = {r["vec_id"]: r["n_links"] for r in near_vectors(spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")).collect()}
+    u = x / np.linalg.norm(x, axis=1, keepdims=True)
+    link = u @ u.T >= 0.9
+    np.fill_diagonal(link, False)
+    assert got == dict(enumerate(link.sum(axis=1).tolist()))
+
+
 def test_fingerprints(spark):
     from variety.llm.order_minhash import fingerprints
 

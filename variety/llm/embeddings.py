@@ -16,9 +16,6 @@ from .components import components
 FIT_ROWS, FIT_BYTES = 50_000, 32 << 20
 MOST_CELLS = 4096
 BLOCK_ROWS = 2048
-#: A pair of linked vectors is lost only if it is spread along the normal of two cells' border
-#: by more than this many standard deviations of an even spread.
-MARGIN_SIGMAS = 4.0
 ROUNDS = 10
 
 
@@ -169,8 +166,8 @@ def near_vectors(vectors: DataFrame, cosine: float = 0.9) -> DataFrame:
     sample = heads.where(F.pmod(F.xxhash64("vec_id"), F.lit(step)) == 0).select("embedding").limit(2 * most).toArrow()
     x = _unit(_rows(sample.column("embedding"), dim)) if len(sample) else np.eye(1, dim)
     centres = spherical_kmeans(x, min(math.isqrt(n) + 1, MOST_CELLS, len(x)))
-    chord = math.sqrt(max(0.0, 2 - 2 * cosine))
-    margin = chord / 2 * min(1.0, MARGIN_SIGMAS / math.sqrt(dim))
+    # of two vectors at most a chord apart, on either side of a border, one is within half a chord of it
+    margin = math.sqrt(max(0.0, 2 - 2 * cosine)) / 2 + 1e-9
     placed = heads.mapInArrow(_assign(centres, margin), "cell int, home int, vec_id long, copies long, guest_in array<int>, embedding " + dict(vectors.dtypes)["embedding"])
     placed = written(placed, "placed")
     sizes = placed.groupBy("cell").count().select("cell", F.ceil(F.col("count") / BLOCK_ROWS).cast("int").alias("blocks"))
