@@ -63,16 +63,35 @@ def powers(n: int, base: np.uint64) -> np.ndarray:
     return np.multiply.accumulate(out)
 
 
+_tables: dict[int, tuple[np.ndarray, np.ndarray]] = {}
+#: Buffers of more bytes are hashed without a table of powers as long as they are.
+MOST_TABLE = 1 << 22
+
+
+def _powers_of(which: int, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Powers of a base and of its inverse, kept from call to call."""
+    held = _tables.get(which)
+    if held is None or len(held[0]) < n:
+        size = 1 << max(18, (n - 1).bit_length())
+        held = _tables[which] = powers(size, BASES[which]), powers(size, U64(pow(int(BASES[which]), -1, 1 << 64)))
+    return held
+
+
 def segment_hashes(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray, which: int = 0) -> np.ndarray:
     """A 64-bit hash of the bytes of each segment; segments ascend and don't overlap."""
     if not len(starts):
         return np.zeros(0, np.uint64)
     lens = ends - starts
-    total = int(lens.sum())
-    heads = np.cumsum(lens) - lens
-    pos = np.arange(total) - np.repeat(heads, lens)
-    values = BYTE_KEYS[which][raw[np.repeat(starts, lens) + pos]] * powers(int(lens.max()), BASES[which])[pos]
-    return mix64(np.add.reduceat(values, heads) ^ (lens.astype(np.uint64) * U64(0xA24BAED4963EE407)))
+    if len(raw) <= MOST_TABLE:  # differences of one running sum
+        ahead, back = _powers_of(which, len(raw))
+        total = np.zeros(len(raw) + 1, np.uint64)
+        np.cumsum(BYTE_KEYS[which][raw] * ahead[: len(raw)], out=total[1:])
+        values = (total[ends] - total[starts]) * back[starts]
+    else:
+        heads = np.cumsum(lens) - lens
+        pos = np.arange(int(lens.sum())) - np.repeat(heads, lens)
+        values = np.add.reduceat(BYTE_KEYS[which][raw[np.repeat(starts, lens) + pos]] * powers(int(lens.max()), BASES[which])[pos], heads)
+    return mix64(values ^ (lens.astype(np.uint64) * U64(0xA24BAED4963EE407)))
 
 
 def grams(h: np.ndarray, rows: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:

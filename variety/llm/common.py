@@ -84,6 +84,23 @@ def slices(batches: Iterator[pa.RecordBatch], text: str = "text", most: int = SL
             at = end
 
 
+def plan_bytes(df: DataFrame) -> int:
+    """Bytes that the optimizer expects of ``df``: for a table that is read, the size of its files."""
+    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
+
+
+def unused(df: DataFrame, *names: str) -> list[str]:
+    """Each name with as many underscores before it as make it none of the frame's columns, in any case of letters."""
+    taken = {c.lower() for c in df.columns}
+    out = []
+    for name in names:
+        while name.lower() in taken:
+            name = "_" + name
+        taken.add(name.lower())
+        out.append(name)
+    return out
+
+
 def text_frame(df: DataFrame, *cols: str) -> DataFrame:
     """Only the named columns, the text last; a null text is empty."""
     return df.select(*cols, F.coalesce(F.col("text"), F.lit("")).alias("text"))
