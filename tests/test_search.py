@@ -89,3 +89,61 @@ def test_packed_trials(spark):
     rows = spark.createDataFrame([(v.tolist(), float(v[0] > 0), i % 2) for i, v in enumerate(x)], "features array<double>, label double, fold int")
     scores = packed(rows, "logistic")([{"reg": 0.01}, {"reg": 0.001}])
     assert len(scores) == 2 and min(scores) > 0.85
+
+
+@pytest.mark.parametrize("family, params", [("adaboost", {"n": 12, "depth": 2}), ("tree", {"depth": 4}), ("forest", {"trees": 20, "depth": 5})])
+def test_trees_of_trials_agree_with_distributed_ones(spark, family, params):
+    from variety.models.registry import fit
+
+    rng = np.random.default_rng(11)
+    x = rng.normal(size=(600, 5))
+    y = ((x[:, 0] > 0) ^ (x[:, 1] > 0.4)).astype(float)
+    rows = spark.createDataFrame([(i, v.tolist(), float(t)) for i, (v, t) in enumerate(zip(x, y, strict=True))], "i int, features array<double>, label double")
+    model = fit(family, rows.where("i < 400"), params)
+    far = np.array([r["prediction"] for r in model.transform(rows.where("i >= 400")).orderBy("i").collect()])
+    near = L.fit_predict(family, params, x[:400], y[:400], x[400:])
+    assert np.mean(far == near) > 0.85 and abs(L.accuracy(y[400:], near) - L.accuracy(y[400:], far)) < 0.1
+
+
+def test_boosted_trees_reweight():
+    from variety.models.trees import fit_adaboost
+
+    x = np.arange(10, dtype=float)[:, None]
+    y = np.array([1, 1, 1, 0, 0, 0, 1, 1, 1, 0], float)
+    model = fit_adaboost(x, y, 3)
+    # the textbook case of ten points and stumps: errors 0.3, 3 / 14 and 2 / 11, says twice 0.4236, 0.6496, 0.7520
+    assert np.allclose(model.says, [0.8473, 1.2993, 1.5041], atol=1e-3) and (model(x) == y).all()
+
+
+def test_f1_is_of_class_one():
+    assert L.f1(np.zeros(3), np.zeros(3)) == 0 and L.f1(np.ones(2), np.ones(2)) == 1
+
+
+def test_larger_samples_are_fitted_over_the_cluster(spark, monkeypatch):
+    from variety.hpo import executor
+
+    monkeypatch.setattr(executor, "PACKED_BYTES", 1000)
+    rng = np.random.default_rng(5)
+    x = rng.normal(size=(120, 4))
+    rows = spark.createDataFrame([(v.tolist(), float(v[0] > 0), i % 2) for i, v in enumerate(x)], "features array<double>, label double, fold int")
+    assert min(executor.packed(rows, "logistic")([{"reg": 0.01}])) > 0.85
+    assert min(executor.packed(rows, "svm", measure="f1")([{"kernel": "linear", "c": 1.0}])) > 0.85
+    assert min(executor.packed(rows, "boost")([{"n": 4, "lr": 0.3, "leaves": 4, "depth": 3}])) > 0.8
+
+
+def test_draws_follow_the_density():
+    from variety.hpo.search import density, sampled
+    from variety.hpo.space import Param
+
+    p = Param("lr", "log", 1e-3, 1.0)
+    seen = [0.01, 0.02, 0.3]
+    rng = np.random.default_rng(1)
+    draws = np.log([sampled(p, seen, a, b) for a, b in rng.random((4000, 2))])
+    edges = np.linspace(np.log(1e-3), 0, 9)
+    share = np.histogram(draws, edges)[0] / len(draws)
+    grid = [np.linspace(a, b, 41) for a, b in zip(edges, edges[1:])]
+    want = [np.trapezoid([density(p, seen, np.exp(v)) for v in g], g) for g in grid]
+    assert abs(sum(want) - 1) < 0.01 and np.abs(share - want).max() < 0.03
+    c = Param("kernel", "choice", values=("a", "b"))
+    got = [sampled(c, ["a", "a"], w, 0.0) for w in rng.random(4000)]
+    assert abs(got.count("a") / 4000 - density(c, ["a", "a"], "a")) < 0.03

@@ -13,18 +13,36 @@ from ..operators.dense import matrix
 
 #: A sample of more bytes is not sent whole to workers; trials are then fitted one by one, distributed.
 PACKED_BYTES = 64 << 20
+#: Likewise one whose kernel matrix would be larger.
+KERNEL_BYTES = 256 << 20
+
+
+def fits_a_worker(rows: int, width: int, family: str) -> bool:
+    return rows * (width + 2) * 8 <= PACKED_BYTES and (family != "svm" or rows * rows * 8 <= KERNEL_BYTES)
+
+
+def over_the_cluster(family: str, theta: dict) -> tuple[str, dict]:
+    """Family and parameters of a trial by the names that distributed fits know."""
+    if family == "svm":
+        kind = theta.get("kernel", "linear")
+        known = {"linear": ("c",), "rbf": ("c", "gamma"), "poly": ("c", "gamma", "degree", "coef0")}[kind]
+        return f"svm_{kind}", {k: theta[k] for k in known if k in theta}
+    if family == "boost":
+        return "leafwise_boost", {"rounds" if k == "n" else k: v for k, v in theta.items()}
+    return family, theta
 
 
 def packed(sample: DataFrame, family: str, folds: int = 2, measure: str = "accuracy", extra: dict | None = None):
     """An evaluator that trains a batch of trials in one job, each trial's folds in one worker.
 
-    ``sample`` has features, label and fold. Its size is checked before it leaves the executors.
+    ``sample`` has features, label and fold. Its size is checked before it leaves the executors: where it
+    or its kernel is too large for a worker, the evaluator is the distributed one.
     """
     first = sample.select("features").first()
     width = len(first[0]) if first else 0
     rows = sample.count()
-    if rows * (width + 2) * 8 > PACKED_BYTES:
-        raise ValueError(f"a sample of {rows} rows is too large for packed trials")
+    if not fits_a_worker(rows, width, family):
+        return distributed(sample, family, folds, measure, extra=extra)
     data = sample.select("features", "label", "fold").toPandas()
     x, y, fold = matrix(data["features"]), data["label"].to_numpy(float), data["fold"].to_numpy()
     spark = sample.sparkSession
@@ -59,7 +77,7 @@ def packed(sample: DataFrame, family: str, folds: int = 2, measure: str = "accur
     return evaluate
 
 
-def distributed(train: DataFrame, family: str, folds: int = 2, measure: str = "accuracy", parallelism: int = 2):
+def distributed(train: DataFrame, family: str, folds: int = 2, measure: str = "accuracy", parallelism: int = 2, extra: dict | None = None):
     """An evaluator that fits each trial over the cluster, ``parallelism`` at a time."""
     from concurrent.futures import ThreadPoolExecutor
 
@@ -67,21 +85,33 @@ def distributed(train: DataFrame, family: str, folds: int = 2, measure: str = "a
     from pyspark.sql import functions as F
 
     from ..models.registry import fit
-    from ..operators.metrics import classification
+    from ..operators.metrics import classification, per_class
 
-    rows = train.persist()
+    more = extra or {}
 
-    def one(theta: dict) -> float:
+    def one(rows: DataFrame, theta: dict) -> float:
+        name, params = over_the_cluster(family, theta | more)
         scores = []
         for k in range(folds):
-            model = fit(family, rows.where(F.col("fold") != k), theta)
-            got = classification(model.transform(rows.where(F.col("fold") == k)).withColumn("label", F.col("label").cast("double"))).first()
-            scores.append(got["accuracy" if measure == "accuracy" else "f1_weighted"])
-        return float(np.mean(scores))
+            learn, held = rows.where(F.col("fold") != k), rows.where(F.col("fold") == k)
+            if learn.select("label").distinct().count() < 2 or held.isEmpty():
+                continue
+            scored = fit(name, learn, params).transform(held).withColumn("label", F.col("label").cast("double"))
+            if measure == "accuracy":
+                scores.append(classification(scored).first()["accuracy"])
+            else:
+                one_class = per_class(scored).where("class = 1").first()
+                scores.append(one_class["f1"] if one_class else 0.0)
+        return float(np.mean(scores)) if scores else 0.0
 
     def evaluate(thetas: list[dict]) -> list[float]:
+        if not thetas:
+            return []
+        rows = train.persist()
         with ThreadPoolExecutor(parallelism) as pool:
-            return list(pool.map(inheritable_thread_target(train.sparkSession)(one), thetas))
+            scores = list(pool.map(inheritable_thread_target(train.sparkSession)(lambda theta: one(rows, theta)), thetas))
+        rows.unpersist()
+        return scores
 
     return evaluate
 

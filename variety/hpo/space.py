@@ -103,7 +103,8 @@ MLP_GENES = Space(
 )
 LOGISTIC = Space("logistic", (Param("reg", "log", 1e-6, 1.0), Param("l1_ratio", "real", 0.0, 1.0), Param("iterations", "int", 20, 200)))
 DISCRIMINANT = Space("discriminant", (Param("shrinkage", "real", 0.0, 1.0),))
-TREE = Space("tree", (Param("depth", "int", 1, 12), Param("l2", "log", 1e-3, 10.0)))
+TREE = Space("tree", (Param("depth", "int", 1, 12), Param("min_split", "int", 2, 20), Param("min_gain", "log", 1e-6, 1e-1)))
+FOREST = Space("forest", (Param("trees", "int", 10, 100), Param("depth", "int", 1, 12)))
 ADABOOST = Space("adaboost", (Param("n", "int", 5, 60), Param("lr", "log", 1e-2, 1.0), Param("depth", "int", 1, 3)))
 LEAFWISE = Space(
     "boost",

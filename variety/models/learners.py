@@ -4,6 +4,12 @@ from __future__ import annotations
 
 import numpy as np
 
+from .boosting import fit_boost_numpy
+from .trees import fit_adaboost, fit_cart, fit_forest
+
+#: Rounds without a lower error after which boosting in a trial stops.
+PATIENCE = 20
+
 
 def sigmoid(v):
     return 1.0 / (1.0 + np.exp(-np.clip(v, -35, 35)))
@@ -172,14 +178,15 @@ def accuracy(y, p):
 
 
 def f1(y, p, average="binary"):
+    """``binary`` is the score of class 1, be it there or not."""
     scores, support = [], []
-    for c in np.unique(np.append(y, p)):
+    for c in [1] if average == "binary" else np.unique(np.append(y, p)):
         hit, a, b = ((y == c) & (p == c)).sum(), (y == c).sum(), (p == c).sum()
         scores.append(2 * hit / (a + b) if a + b else 0.0)
         support.append(a)
-    if average == "binary":
-        return float(scores[-1]) if scores else 0.0
-    return float(np.average(scores, weights=support if average == "weighted" else None))
+    if not len(y):
+        return 0.0
+    return float(scores[0]) if average == "binary" else float(np.average(scores, weights=support if average == "weighted" else None))
 
 
 def fit_predict(family, params, x, y, z):
@@ -204,11 +211,15 @@ def fit_predict(family, params, x, y, z):
     if family == "mlp":
         net = fit_mlp(x, y, p.get("layers", (32,)), p.get("activation", "relu"), p.get("dropout", 0.0), p.get("lr", 1e-3), p.get("batch", 64), p.get("epochs", 5))
         return mlp_scores(net, z, p.get("activation", "relu")).argmax(axis=1).astype(float)
-    if family in ("tree", "adaboost", "boost"):
-        from .boosting import fit_boost_numpy
-
-        rounds = {"tree": 1, "adaboost": int(p.get("n", 10)), "boost": int(p.get("n", 50))}[family]
-        depth = int(p.get("depth", 5 if family == "tree" else 2 if family == "adaboost" else 6))
-        model = fit_boost_numpy(x, y, rounds=rounds, lr=p.get("lr", 1.0 if family == "tree" else 0.3), leaves=int(p.get("leaves", 1 << min(depth, 6))), depth=depth, l1=p.get("l1", 0.0), l2=p.get("l2", 1.0))
+    if family == "tree":
+        return fit_cart(x, y, int(p.get("depth", 5)), int(p.get("min_split", 2)), p.get("min_gain", 0.0))(z)
+    if family == "forest":
+        return fit_forest(x, y, int(p.get("trees", 20)), int(p.get("depth", 5)))(z)
+    if family == "adaboost":
+        return fit_adaboost(x, y, int(p.get("n", 10)), p.get("lr", 1.0), int(p.get("depth", 1)))(z)
+    if family == "boost":
+        held = np.arange(len(x)) % 5 == 4 if len(x) >= 50 else np.zeros(len(x), bool)  # rows that say when to stop
+        depth = int(p.get("depth", 6))
+        model = fit_boost_numpy(x[~held], y[~held], int(p.get("n", 50)), p.get("lr", 0.3), int(p.get("leaves", 1 << min(depth, 6))), depth, p.get("l1", 0.0), p.get("l2", 1.0), valid=(x[held], y[held]) if held.any() else None, patience=PATIENCE)
         return (model(z) > 0).astype(float)
     raise ValueError(f"unknown family {family}")

@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -33,8 +35,14 @@ def soft_vote(members: dict[str, float], classes: int) -> Column:
     return (F.array_position(totals, F.array_max(totals)) - 1).cast("int")
 
 
-def stack(df: DataFrame, members: list[str], label: str, fold: str | None = None):
-    """A logistic model over members' out-of-fold scores; ``df`` holds those scores."""
+def out_of_fold(train: DataFrame, make: Callable[[DataFrame], object], to: str, fold: str = "fold", folds: int = 3) -> DataFrame:
+    """``train`` with the prediction, named ``to``, of a model that ``make`` fitted on the other folds."""
+    parts = [make(train.where(F.col(fold) != k)).transform(train.where(F.col(fold) == k)) for k in range(folds)]
+    return reduce(DataFrame.unionByName, parts).withColumnRenamed("prediction", to)
+
+
+def stack(df: DataFrame, members: list[str], label: str):
+    """A logistic model over members' scores, which ``df`` holds and which must be out of fold."""
     from ..models.registry import fit
 
     rows = df.withColumn("features", F.array(*(F.col(m).cast("double") for m in members))).withColumn("label", F.col(label))

@@ -42,9 +42,15 @@ def _(spark, d):
 
 @query("ens_stack")
 def _(spark, d):
-    from ..operators.ensemble import stack
-
-    parts = [fitted(spark, d, f).select("vec_id", "split", "label", F.col("prediction").alias(f)) for f in ("logistic", "tree")]
-    rows = parts[0].join(parts[1].drop("split", "label"), "vec_id")
-    model = stack(rows.where("split = 'train'"), ["logistic", "tree"], "label")
-    return M.gap(model.transform(rows.withColumn("features", F.array("logistic", "tree"))))
+    from ..operators.ensemble import out_of_fold, stack
+
+    names = ["logistic", "tree"]
+    rows = W.dense(spark, d).withColumn("label", F.col("y_lin").cast("double"))
+    train, test = rows.where("split = 'train'"), rows.where("split = 'test'")
+    for f in names:
+        whole = fit(f, train)
+        train = out_of_fold(train, lambda part, f=f: fit(f, part), f)
+        test = whole.transform(test).withColumnRenamed("prediction", f)
+    scored = train.select("split", "label", *names).unionByName(test.select("split", "label", *names))
+    model = stack(train, names, "label")
+    return M.gap(model.transform(scored.withColumn("features", F.array(*(F.col(f).cast("double") for f in names)))))

@@ -5,7 +5,8 @@ from pyspark.sql import functions as F
 from ..functions.hashing import uniform
 from ..hpo import search as H
 from ..hpo import space as P
-from ..hpo.executor import ledger_frame, packed
+from ..hpo.executor import ledger_frame, over_the_cluster, packed
+from ..models.learners import PATIENCE
 from ..models.registry import fit
 from ..operators import augment as A
 from ..operators import ensemble as E
@@ -22,27 +23,32 @@ def sample(spark, d, target="y_lin", rho=45, folds=2):
     return rows.select("features", F.col(target).cast("double").alias("label"), (F.col("fold") % folds).alias("fold"))
 
 
-SMALL_SVM = P.Space("svm", (P.Param("kernel", "choice", values=("rbf", "linear")), P.Param("c", "choice", values=(0.1, 1.0, 10.0)), P.Param("gamma", "choice", values=("scale", 0.1), when=("kernel", ("rbf",)))))
-SMALL_MLP = P.Space("mlp", (P.Param("layers", "layers", high=2, values=(16, 32, 64)), P.Param("dropout", "real", 0.0, 0.5), P.Param("lr", "log", 1e-4, 3e-2), P.Param("activation", "choice", values=("relu", "tanh", "elu")), P.Param("batch", "int", 16, 128)))
-SMALL_BOOST = P.Space("boost", (P.Param("lr", "log", 1e-2, 0.5), P.Param("n", "int", 5, 30), P.Param("leaves", "int", 4, 31), P.Param("depth", "int", 2, 6), P.Param("l2", "log", 1e-3, 10.0)))
-SMALL_ADA = P.Space("adaboost", (P.Param("n", "int", 5, 25), P.Param("lr", "log", 5e-2, 1.0), P.Param("depth", "int", 1, 3)))
+#: The share of training rows that each experiment samples, in percent.
+RHO = {"svm": 8, "logistic": 15, "mlp": 45, "boost": 30, "adaboost": 2, "tree": 2, "forest": 2}
+#: Epochs of a network's trial; the winner is trained for longer.
+TRIAL_EPOCHS = 5
 
 
-def searches(spark, d, target="y_lin"):
+def searches(spark, d, target="y_lin", grid=P.SVM_GRID, generations=15, population=20, genes=(8, 4), trials=15, steps=15, chains=2):
+    """Each family's search by name, with the published spaces and budgets; smaller ones are arguments. ``genes`` are population and generations of the networks."""
+    rows = lambda f, folds=2: sample(spark, d, target, RHO[f], folds)
+    cooled = lambda f, space: H.annealing(space, packed(rows(f), f), steps=steps, chains=chains)
     return {
-        "svm": lambda: H.grid(SMALL_SVM, packed(sample(spark, d, target, 30, 3), "svm", 3)),
-        "logistic": lambda: H.adaptive_genetic(P.LOGISTIC, packed(sample(spark, d, target), "logistic", measure="f1"), population=8, generations=4),
-        "mlp": lambda: H.genetic(SMALL_MLP, packed(sample(spark, d, target), "mlp", extra={"epochs": 15}), population=6, generations=3),
-        "boost": lambda: H.tpe(SMALL_BOOST, packed(sample(spark, d, target, 30), "boost"), trials=15, batch=5),
-        "adaboost": lambda: H.annealing(SMALL_ADA, packed(sample(spark, d, target, 15), "adaboost"), steps=5, chains=2),
+        "svm": lambda: H.grid(grid, packed(rows("svm", 3), "svm", 3)),
+        "logistic": lambda: H.adaptive_genetic(P.LOGISTIC, packed(rows("logistic"), "logistic", measure="f1"), population=population, generations=generations),
+        "mlp": lambda: H.genetic(P.MLP_GENES, packed(rows("mlp"), "mlp", extra={"epochs": TRIAL_EPOCHS}), population=genes[0], generations=genes[1]),
+        "boost": lambda: H.tpe(P.LEAFWISE, packed(rows("boost"), "boost"), trials=trials, batch=5),
+        "adaboost": lambda: cooled("adaboost", P.ADABOOST),
+        "tree": lambda: cooled("tree", P.TREE),
+        "forest": lambda: cooled("forest", P.FOREST),
     }
 
 
 def _ledger(spark, d, family):
-    return ledger_frame(spark, searches(spark, d)[family]())
+    return ledger_frame(spark, searches(spark, d)[family]()).withColumn("rho", F.lit(RHO[family]))
 
 
-for _name, _family in (("w_dense_svm_grid", "svm"), ("w_dense_lr_aga", "logistic"), ("w_dense_mlp_ga", "mlp"), ("w_dense_boost_tpe", "boost"), ("w_dense_ada_sa", "adaboost")):
+for _name, _family in (("w_dense_svm_grid", "svm"), ("w_dense_lr_aga", "logistic"), ("w_dense_mlp_ga", "mlp"), ("w_dense_boost_tpe", "boost"), ("w_dense_ada_sa", "adaboost"), ("w_dense_tree_sa", "tree"), ("w_dense_forest_sa", "forest")):
 
     @query(_name)
     def _(spark, d, family=_family):
@@ -73,22 +79,21 @@ def _(spark, d):
 @query("w_dense_learning_curve")
 def _(spark, d):
     rows = _scores(spark, d, ("logistic", "tree"), "y_lin", 8)
-    for rho in (15, 30, 45):
+    for rho in (2, 15, 30, 45):
         rows = rows.unionByName(_scores(spark, d, ("logistic", "tree"), "y_lin", rho))
     return rows
 
 
 @query("w_dense_ensemble")
 def _(spark, d):
-    from .models import fitted
-
-    families = ("logistic", "svm_linear", "tree", "mlp")
-    parts = {f: fitted(spark, d, f) for f in families}
-    weight = E.weights({f: M.gap(p).first()["test_accuracy"] for f, p in parts.items()})
-    rows = parts[families[0]].withColumnRenamed("prediction", families[0])
-    for f in families[1:]:
-        rows = rows.join(parts[f].select("vec_id", F.col("prediction").alias(f)), "vec_id")
-    voted = rows.where("split = 'test'").withColumn("prediction", E.hard_vote(weight, 2).cast("double"))
+    """The three families that are best on a fold kept from training, weighted by their accuracy there, fitted on all training rows and voted on the test rows."""
+    rows = W.dense(spark, d).withColumn("label", F.col("y_lin").cast("double"))
+    train, test = rows.where("split = 'train'"), rows.where("split = 'test'")
+    accuracy = {f: M.classification(fit(f, train.where("fold <> 0")).transform(train.where("fold = 0"))).first()["accuracy"] for f in ("logistic", "svm_linear", "tree", "mlp")}
+    members = E.top_k(accuracy, 3)
+    for f in members:
+        test = fit(f, train).transform(test).withColumnRenamed("prediction", f)
+    voted = test.withColumn("prediction", E.hard_vote(E.weights({f: accuracy[f] for f in members}), 2).cast("double"))
     return M.confusion(voted, normalized=True)
 
 
@@ -188,7 +193,21 @@ def _(spark, d):
 def _(spark, d):
     rows = []
     for name, run in searches(spark, d).items():
-        if name in ("svm", "logistic", "adaboost"):
-            r = run()
-            rows.append((name, r.strategy, len(r.ledger), r.trainings, round(r.score, 4)))
-    return spark.createDataFrame(rows, "family string, strategy string, trials int, trainings int, best double")
+        r = run()
+        rows.append((name, r.strategy, RHO[name], len(r.ledger), r.trainings, round(r.score, 4)))
+    return spark.createDataFrame(rows, "family string, strategy string, rho int, trials int, trainings int, best double")
+
+
+@query("w_dense_refit")
+def _(spark, d):
+    """Each search's best setting, fitted on all training rows and measured on the test rows."""
+    rows, out = W.dense(spark, d).withColumn("label", F.col("y_lin").cast("double")), None
+    found = searches(spark, d)
+    for f in ("svm", "logistic", "boost", "adaboost"):
+        name, params = over_the_cluster(f, found[f]().best)
+        if f == "boost":
+            params = params | {"patience": PATIENCE, "valid": "held"}
+        train = rows.where("split = 'train'").withColumn("held", F.col("fold") == 0)
+        got = M.gap(fit(name, train, params).transform(rows)).withColumns({"family": F.lit(name), "rho": F.lit(RHO[f])})
+        out = got if out is None else out.unionByName(got)
+    return out
