@@ -467,9 +467,12 @@ def test_embeddings(spark):
     assert near_vectors(spark.createDataFrame([], "vec_id long, embedding array<float>")).count() == 0
 
 
-def test_embeddings_of_few_directions(spark):
+@pytest.mark.parametrize("block", [2048, 70])
+def test_embeddings_of_few_directions(spark, monkeypatch, block):
+    from variety.llm import embeddings
     from variety.llm.embeddings import near_vectors
 
+    monkeypatch.setattr(embeddings, "BLOCK_ROWS", block)
     rng = np.random.default_rng(17)
     x = rng.normal(size=(1200, 4)) @ np.linalg.qr(rng.normal(size=(256, 4)))[0].T
     got = {r["vec_id"]: r["n_links"] for r in near_vectors(spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")).collect()}

@@ -67,8 +67,9 @@ def _assign(centres: np.ndarray, margin: float):
                 ends = np.concatenate([[0], np.cumsum(np.bincount(grow, minlength=len(home)))]).astype(np.int32)
                 lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(gcell.astype(np.int32)))
                 take = pa.array(row)
+                hosts = pa.array(row, mask=cell != home[row])  # only a row at home needs to say where it is a guest
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(cell.astype(np.int32)), pa.array(home[row].astype(np.int32)), batch.column("vec_id").take(take), batch.column("copies").take(take), lists.take(take), batch.column("embedding").take(take)],
+                    [pa.array(cell.astype(np.int32)), pa.array(home[row].astype(np.int32)), batch.column("vec_id").take(take), batch.column("copies").take(take), lists.take(hosts), batch.column("embedding").take(take)],
                     ["cell", "home", "vec_id", "copies", "guest_in", "embedding"],
                 )
 
@@ -87,49 +88,39 @@ def _visits(lists: pa.Array, cells: np.ndarray) -> np.ndarray:
 
 
 def _compare(dim: int, cosine: float):
+    """Links of a block of a cell's own rows with a block of all the rows there, guests too."""
+
     def run(key, rows):
-        cell, i, j = (k.as_py() for k in key)
+        cell = key[0].as_py()
         rows = rows.combine_chunks()
-        block = rows.column("block").to_numpy()
-        part_of = lambda b: rows.filter(pa.array(block == b))
-        a = part_of(i)
-        b = a if i == j else part_of(j)
-        ids, counts, partners = [], [], []
+        asks = rows.column("asks").to_numpy(zero_copy_only=False)
+        a, b = rows.filter(pa.array(asks)), rows.filter(pa.array(~asks))
+        ids = counts = partners = np.zeros(0, np.int64)
         if len(a) and len(b):
-            homes_a, homes_b = (t.column("home").to_numpy() for t in (a, b))
-            in_a, in_b = homes_a == cell, homes_b == cell
-
-            def outside(host, guest_homes):
-                cells = np.unique(guest_homes)
-                back = _visits(host.column("guest_in").combine_chunks(), cells)[:, np.searchsorted(cells, guest_homes)]
-                return ~back | (cell < guest_homes)[None, :]
-
-            allowed = in_a[:, None] & in_b[None, :]
-            allowed |= in_a[:, None] & ~in_b[None, :] & outside(a, homes_b)
-            allowed |= ~in_a[:, None] & in_b[None, :] & outside(b, homes_a).T
-            links = (_unit(_rows(a.column("embedding"), dim)) @ _unit(_rows(b.column("embedding"), dim)).T >= cosine) & allowed
+            links = _unit(_rows(a.column("embedding"), dim)) @ _unit(_rows(b.column("embedding"), dim)).T >= cosine
+            some, other = np.flatnonzero(links.any(axis=1)), np.flatnonzero(links.any(axis=0))
+            links, a, b = links[np.ix_(some, other)], a.take(pa.array(some)).combine_chunks(), b.take(pa.array(other)).combine_chunks()
             va, vb = a.column("vec_id").to_numpy(), b.column("vec_id").to_numpy()
             ca, cb = a.column("copies").to_numpy(), b.column("copies").to_numpy()
-            if i == j:
-                np.fill_diagonal(links, False)
-                links |= links.T
+            homes = b.column("home").to_numpy()
+            if len(some):
+                # both at home: once, from the smaller id; a guest: unless its host is a guest at its home, which counts the pair if it is the smaller cell
+                cells = np.unique(homes)
+                back = _visits(a.column("guest_in").combine_chunks(), cells)[:, np.searchsorted(cells, homes)]
+                links &= np.where(homes == cell, va[:, None] < vb[None, :], ~back | (cell < homes)[None, :])
             la, lb = va.copy(), vb.copy()
             far = np.iinfo(np.int64).max
             while links.any():  # smallest id of each row's part of this block's graph
                 na = np.minimum(la, np.where(links, lb[None, :], far).min(axis=1))
                 nb = np.minimum(lb, np.where(links, na[:, None], far).min(axis=0))
-                if i == j:
-                    na = nb = np.minimum(na, nb)
                 if (na == la).all() and (nb == lb).all():
                     break
                 la, lb = na, nb
-            for v, label, n in ((va, la, links @ cb), (vb, lb, links.T @ ca))[: 1 if i == j else 2]:
-                some = np.flatnonzero(n)
-                ids.append(v[some])
-                counts.append(n[some])
-                partners.append(label[some])
-        cat = lambda parts: pa.array(np.concatenate(parts) if parts else np.zeros(0, np.int64), pa.int64())
-        return pa.table({"vec_id": cat(ids), "n": cat(counts), "label": cat(partners)})
+            ids, partners = np.concatenate([va, vb]), np.concatenate([la, lb])
+            counts = np.concatenate([links @ cb, links.T @ ca]) if len(ids) else ids
+            kept = np.flatnonzero(counts)
+            ids, counts, partners = ids[kept], counts[kept], partners[kept]
+        return pa.table({"vec_id": pa.array(ids, pa.int64()), "n": pa.array(counts, pa.int64()), "label": pa.array(partners, pa.int64())})
 
     return run
 
@@ -142,8 +133,8 @@ def near_vectors(vectors: DataFrame, cosine: float = 0.9) -> DataFrame:
     vec_ids are rows of their own that share a component. An empty table gives no rows.
 
     Centres are fitted on a sample; every vector is compared: in its own cell, and as a guest in
-    each cell whose border it is near. A pair counts in one cell only. Cells of any size are cut
-    into blocks, and each pair of blocks is a group of bounded size.
+    each cell whose border it is near, with the rows at home there; guests aren't compared with each other. A pair
+    counts in one cell only. Cells of any size are cut into blocks, and each pair of blocks is a group of bounded size.
     """
     spark = vectors.sparkSession
     base = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("exact"), F.col("embedding"))
@@ -170,10 +161,16 @@ def near_vectors(vectors: DataFrame, cosine: float = 0.9) -> DataFrame:
     margin = math.sqrt(max(0.0, 2 - 2 * cosine)) / 2 + 1e-9
     placed = heads.mapInArrow(_assign(centres, margin), "cell int, home int, vec_id long, copies long, guest_in array<int>, embedding " + dict(vectors.dtypes)["embedding"])
     placed = written(placed, "placed")
-    sizes = placed.groupBy("cell").count().select("cell", F.ceil(F.col("count") / BLOCK_ROWS).cast("int").alias("blocks"))
-    keyed = placed.join(F.broadcast(sizes), "cell").withColumn("block", F.pmod(F.xxhash64("vec_id"), F.col("blocks").cast("long")).cast("int"))
-    keyed = keyed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    keyed = keyed.select("cell", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "home", "vec_id", "copies", "guest_in", "embedding")
+    own = F.col("home") == F.col("cell")
+    blocks = lambda n: F.ceil(n / BLOCK_ROWS).cast("int")
+    sizes = placed.groupBy("cell").agg(blocks(F.count(F.lit(1))).alias("blocks"), blocks(F.count_if(own)).alias("home_blocks")).where("home_blocks > 0")
+    keyed = placed.join(F.broadcast(sizes), "cell")
+    part = lambda n: F.pmod(F.xxhash64("vec_id"), F.col(n).cast("long")).cast("int")
+    each = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    facts = ["home", "vec_id", "copies", "embedding"]
+    asking = keyed.where(own).select("cell", part("home_blocks").alias("i"), each("blocks").alias("j"), *facts, "guest_in", F.lit(True).alias("asks"))
+    asked = keyed.select("cell", each("home_blocks").alias("i"), part("blocks").alias("j"), *facts, F.lit(None).cast("array<int>").alias("guest_in"), F.lit(False).alias("asks"))
+    keyed = asking.unionByName(asked)
     found = written(keyed.groupBy("cell", "i", "j").applyInArrow(_compare(dim, cosine), "vec_id long, n long, label long"), "found")
     counts = found.groupBy("vec_id").agg(F.sum("n").alias("others"))
     label = components(found.where("vec_id <> label").select(F.col("vec_id").alias("u"), F.col("label").alias("v")))
