@@ -406,7 +406,7 @@ def test_packing(spark, texts):
     from variety.llm.packing import pack
 
     coder = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
-    coder.encode_special_tokens = True
+    texts = [*texts, *((10_000 + i, t) for i, t in enumerate(["x  ", "abc", "a <|endoftext|> b", "<|endoftext|>", "a  <|endoftext|><|endoftext|>  ", "<|endoftext"]))]
     got = pack(frame(spark, texts)).collect()
     for i, t in texts:
         ids = coder.encode(t or "", add_special_tokens=False).ids + [2]

@@ -14,6 +14,10 @@ from .bytescan import byte_class
 _AFTER_SPACE = byte_class(bytes([*range(0x21, 0x7F), 0xC3]))
 
 
+#: The vocabulary's one special token: where a text has this string, it is one id.
+SPECIAL, SPECIAL_ID = b"<|endoftext|>", 50256
+
+
 def vocabulary_path(name: str) -> str:
     import public_tokenizers
 
@@ -37,7 +41,7 @@ def byte_pair_encoder(path: str, pattern: str | None = None):
 
 
 class ChunkEncoder:
-    """Ids of many texts at once. Special tokens' strings are ordinary text."""
+    """Ids of many texts at once. The special token's string is its one id, and what is on either side of it is encoded by itself."""
 
     def __init__(self, path: str):
         coder = byte_pair_encoder(path)
@@ -51,6 +55,9 @@ class ChunkEncoder:
             return np.zeros(0, np.uint32), np.zeros(rows, np.int64)
         cut = np.zeros(len(raw), bool)
         cut[:-1] = (raw[:-1] == 0x20) & _AFTER_SPACE[raw[1:]]
+        cut[offs[1:][offs[1:] > 0] - 1] = False  # what follows a row's last byte is another row's
+        for row in self._special_rows(raw, offs):
+            cut[offs[row] : offs[row + 1]] = False
         loose = np.unique(offs[:-1][offs[:-1] < len(raw)])
         loose = loose[~cut[loose]]  # rows that don't start with such a space: each by itself
         cut[loose] = True
@@ -80,5 +87,20 @@ class ChunkEncoder:
         ids = flat[np.repeat(heads - (ends - lens), lens) + np.arange(int(ends[-1]))]
         return ids, np.diff(np.append(0, ends)[np.searchsorted(starts, offs)])
 
+    def _special_rows(self, raw: np.ndarray, offs: np.ndarray) -> list[int]:
+        """Rows that hold the special token's string; they are encoded whole."""
+        data, found = raw.tobytes(), set()
+        at = data.find(SPECIAL)
+        while at >= 0:
+            row = int(np.searchsorted(offs, at, "right")) - 1
+            if at + len(SPECIAL) <= offs[row + 1]:
+                found.add(row)
+            at = data.find(SPECIAL, at + 1)
+        return sorted(found)
+
     def _array(self, text: bytes) -> np.ndarray:
-        return np.array(self.encode(text.decode()), np.uint32)
+        ids: list[int] = []
+        for i, part in enumerate(text.split(SPECIAL)):
+            ids += [SPECIAL_ID] * (i > 0)
+            ids += self.encode(part.decode())
+        return np.array(ids, np.uint32)
