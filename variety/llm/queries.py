@@ -2,6 +2,7 @@
 
 from .embeddings import op8_embedding_near_dedup
 from .near_duplicates import op10_near_duplicates
+from .oracles import ORACLE_SQL  # noqa: F401
 from .order_minhash import op9_order_minhash
 from .packing import op7_best_fit_packing
 from .passages import op3_substring_dedup
@@ -23,5 +24,3 @@ QUERIES = {
     "op9_order_minhash": op9_order_minhash,
     "op10_near_duplicates": op10_near_duplicates,
 }
-
-ORACLE_SQL: dict[str, str] = {}
