@@ -91,6 +91,21 @@ def test_packed_trials(spark):
     assert len(scores) == 2 and min(scores) > 0.85
 
 
+def test_boosting_of_several_classes_and_many_tasks(spark, monkeypatch):
+    from variety.models import boosting
+
+    rng = np.random.default_rng(3)
+    x = rng.normal(size=(240, 3))
+    y = np.digitize(x[:, 0] + x[:, 1], [-0.7, 0.7]).astype(float)
+    rows = spark.createDataFrame([(r.tolist(), float(t)) for r, t in zip(x, y, strict=True)], "features array<double>, label double").repartition(4)
+    plain = boosting.fit_boost(rows, task="multiclass", classes=3, rounds=3, leaves=6, n_bins=16)
+    monkeypatch.setattr(boosting, "MANY_TASKS", 1)
+    summed = boosting.fit_boost(rows, task="multiclass", classes=3, rounds=3, leaves=6, n_bins=16)
+    told = [[r["prediction"] for r in m.transform(rows).orderBy("features").collect()] for m in (plain, summed)]
+    want = [r["label"] for r in rows.orderBy("features").collect()]
+    assert told[0] == told[1] and np.mean(np.array(told[0]) == want) > 0.9
+
+
 @pytest.mark.parametrize("family, params", [("adaboost", {"n": 12, "depth": 2}), ("tree", {"depth": 4}), ("forest", {"trees": 20, "depth": 5})])
 def test_trees_of_trials_agree_with_distributed_ones(spark, family, params):
     from variety.models.registry import fit

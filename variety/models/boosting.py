@@ -170,76 +170,128 @@ class BoostModel:
         return df.withColumn(to, F.pandas_udf(score, "double")(F.col(features)))
 
 
+def softmax(scores: np.ndarray) -> np.ndarray:
+    e = np.exp(scores - scores.max(axis=1, keepdims=True))
+    return e / e.sum(axis=1, keepdims=True)
+
+
+def class_gradients(loss: str, y: np.ndarray, scores: np.ndarray, c: int):
+    """Of one column of scores: of all classes at once under softmax, of the only one otherwise."""
+    if scores.shape[1] == 1:
+        return gradients(loss, y, scores[:, 0])
+    p = softmax(scores)[:, c]
+    return p - (y == c), np.maximum(2 * p * (1 - p), 1e-9)
+
+
+#: Beyond this many tasks histograms are summed in the cluster, a feature a group, before the driver has them.
+MANY_TASKS = 64
+#: Lineage of the scores is cut after so many rounds, where a checkpoint folder is set.
+CUT_ROUNDS = 10
+
+
 def fit_boost(df: DataFrame, features: str = "features", label: str = "label", task: str = "binary", rounds: int = 20, lr: float = 0.3, leaves: int = 31, depth: int = 6, l1: float = 0.0, l2: float = 1.0, n_bins: int = 64, classes: int = 2, patience: int = 20, valid: str | None = None, sample: int = 20_000) -> BoostModel:
-    """Boosting over a DataFrame of array features.
+    """Boosting over a DataFrame of array features; several classes share a softmax, one tree a class and round.
 
-    Cuts come from at most ``sample`` rows. Rows are binned once, to bytes, and held in memory and on disk; scores
-    are recomputed from the trees. Each job sends one d by bins histogram a leaf and task. With a ``valid`` column
+    Cuts come from at most ``sample`` rows. Rows are binned once, to bytes, and held in memory and on disk beside their scores; a
+    round adds its trees' values to the scores of the round before. Each job sums one d by bins histogram a leaf. With a ``valid`` column
     (boolean) training stops after ``patience`` rounds without a lower error there.
     """
     rows = df.select(features, F.col(label).cast("double").alias("y"), (F.col(valid) if valid else F.lit(False)).alias("v"))
     head = rows.orderBy(F.xxhash64(features)).limit(sample).select(features).toPandas()
     cuts = quantile_cuts(matrix(head[features]), n_bins)
     d = len(cuts)
-
-    def binned(frames):
-        for f in frames:
-            if len(f):
-                yield pd.DataFrame({"b": [r.tobytes() for r in to_bins(matrix(f[features]), cuts).astype(np.uint8)], "y": f["y"], "v": f["v"]})
-
-    data = rows.mapInPandas(binned, "b binary, y double, v boolean").persist()
     loss = "squared" if task == "regression" else "logistic"
     k = classes if task == "multiclass" else 1
-    base = [float(data.where("not v").agg(F.avg("y")).first()[0] or 0.0)] if loss == "squared" else [0.0] * k
+    base = [float(rows.where("not v").agg(F.avg("y")).first()[0] or 0.0)] if loss == "squared" else [0.0] * k
     model = BoostModel(cuts, [[] for _ in range(k)], base, loss)
     best, stale, kept = np.inf, 0, 0
+    stored = "b binary, y double, v boolean, s binary"
+
+    def binned(frames):
+        for f in frames:
+            if len(f):
+                start = np.array(base).tobytes()
+                yield pd.DataFrame({"b": [r.tobytes() for r in to_bins(matrix(f[features]), cuts).astype(np.uint8)], "y": f["y"], "v": f["v"], "s": [start] * len(f)})
 
     def unpack(f):
-        return np.frombuffer(b"".join(f["b"]), np.uint8).reshape(len(f), d).astype(np.int64)
+        return np.frombuffer(b"".join(f["b"]), np.uint8).reshape(len(f), d).astype(np.int64), np.frombuffer(b"".join(f["s"])).reshape(len(f), k)
 
-    for _ in range(rounds):
+    data = rows.mapInPandas(binned, stored).persist()
+    older = None
+    many = data.rdd.getNumPartitions() > MANY_TASKS
+
+    def add(frames):
+        return np.sum(frames["h"].tolist(), axis=0)
+
+    for at_round in range(rounds):
+        made = []
         for c in range(k):
-            done, start = list(model.trees[c]), base[c]
 
-            def histogram(tree, nodes, c=c, done=done, start=start):
+            def histogram(tree, nodes, c=c, data=data):
                 def partial(frames):
                     out = {n: np.zeros((d, n_bins, 2)) for n in nodes}
                     for f in frames:
                         if not len(f):
                             continue
-                        b, y = unpack(f), f["y"].to_numpy()
-                        y = (y == c).astype(float) if task == "multiclass" else y
-                        g, h = gradients(loss, y, start + sum((t.values(b) for t in done), np.zeros(len(b))))
+                        b, s = unpack(f)
+                        g, h = class_gradients(loss, f["y"].to_numpy(), s, c)
                         at = tree.leaves_of(b)
                         for n in nodes:
                             here = at == n
                             out[n] += sums(b[here], g[here], h[here], n_bins)
-                    yield pd.DataFrame({"node": list(out), "h": [v.ravel() for v in out.values()]})
-
-                got = data.where("not v").mapInPandas(partial, "node int, h array<double>").collect()
-                return [sum(np.array(r["h"]) for r in got if r["node"] == n).reshape(d, n_bins, 2) for n in nodes]
-
-            model.trees[c].append(grow(histogram, leaves, depth, l1, l2, lr))
+                    for n, v in out.items():
+                        yield pd.DataFrame({"node": n, "j": range(d), "h": list(v.reshape(d, -1))})
+
+                parts = data.where("not v").mapInPandas(partial, "node int, j int, h array<double>")
+                if many:
+                    parts = parts.groupBy("node", "j").applyInPandas(lambda f: pd.DataFrame({"node": f["node"][:1], "j": f["j"][:1], "h": [add(f)]}), "node int, j int, h array<double>")
+                total = {n: np.zeros((d, n_bins, 2)) for n in nodes}
+                got = parts.toArrow()
+                values = got.column("h").combine_chunks().flatten().to_numpy().reshape(-1, n_bins, 2)
+                for n, j, v in zip(got.column("node").to_pylist(), got.column("j").to_pylist(), values, strict=True):
+                    total[n][j] += v
+                return [total[n] for n in nodes]
+
+            made.append(grow(histogram, leaves, depth, l1, l2, lr))
+        for c, tree in enumerate(made):
+            model.trees[c].append(tree)
+
+        def rescored(frames, made=made):
+            for f in frames:
+                if len(f):
+                    b, s = unpack(f)
+                    s = s + np.stack([t.values(b) for t in made], axis=1)
+                    yield f.assign(s=[r.tobytes() for r in s])
+
+        after = data.mapInPandas(rescored, stored).persist()
+        if (at_round + 1) % CUT_ROUNDS == 0 and df.sparkSession.sparkContext._jsc.sc().getCheckpointDir().isDefined():
+            plain, after = after, after.checkpoint().persist()
+            plain.unpersist()
         if valid:
-            def errors(frames, trees=[list(t) for t in model.trees]):
+
+            def errors(frames):
                 bad = n = 0
                 for f in frames:
                     if len(f):
-                        b = unpack(f)
-                        s = np.stack([sum((t.values(b) for t in ts), np.zeros(len(b))) for ts in trees], axis=1)
+                        _, s = unpack(f)
                         p = s.argmax(axis=1) if k > 1 else s[:, 0] > 0
                         bad, n = bad + int((p != f["y"].to_numpy()).sum()), n + len(f)
                 yield pd.DataFrame({"bad": [bad], "n": [n]})
 
-            e = data.where("v").mapInPandas(errors, "bad long, n long").agg(F.sum("bad"), F.sum("n")).first()
+            e = after.where("v").mapInPandas(errors, "bad long, n long").agg(F.sum("bad"), F.sum("n")).first()
             model.errors.append(e[0] / max(e[1] or 0, 1))
             if model.errors[-1] < best:
                 best, stale, kept = model.errors[-1], 0, len(model.errors)
             else:
                 stale += 1
-            if stale >= patience:
-                break
+        if older:
+            older.unpersist()  # the round's histograms have read the rows that follow them
+        older, data = data, after
+        if valid and stale >= patience:
+            break
     if valid:
         model.trees = [t[:kept] for t in model.trees]
-    data.unpersist()
+    for held in (older, data):
+        if held:
+            held.unpersist()
     return model
