@@ -6,6 +6,7 @@ sums histograms over all partitions for the new leaves, and the sibling's is the
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -189,11 +190,12 @@ MANY_TASKS = 64
 CUT_ROUNDS = 10
 
 
-def fit_boost(df: DataFrame, features: str = "features", label: str = "label", task: str = "binary", rounds: int = 20, lr: float = 0.3, leaves: int = 31, depth: int = 6, l1: float = 0.0, l2: float = 1.0, n_bins: int = 64, classes: int = 2, patience: int = 20, valid: str | None = None, sample: int = 20_000) -> BoostModel:
+def fit_boost(df: DataFrame, features: str = "features", label: str = "label", task: str = "binary", rounds: int = 20, lr: float = 0.3, leaves: int = 31, depth: int = 6, l1: float = 0.0, l2: float = 1.0, n_bins: int = 64, classes: int = 2, patience: int = 20, valid: str | None = None, sample: int = 20_000, batch: int = 4) -> BoostModel:
     """Boosting over a DataFrame of array features; several classes share a softmax, one tree a class and round.
 
     Cuts come from at most ``sample`` rows. Rows are binned once, to bytes, and held in memory and on disk beside their scores; a
-    round adds its trees' values to the scores of the round before. Each job sums one d by bins histogram a leaf. With a ``valid`` column
+    round adds its trees' values to the scores of the round before. Up to ``batch`` leaves are split by a job; as many as
+    ``leaves`` grow a tree level by level. Each job sums one d by bins histogram a leaf. With a ``valid`` column
     (boolean) training stops after ``patience`` rounds without a lower error there.
     """
     rows = df.select(features, F.col(label).cast("double").alias("y"), (F.col(valid) if valid else F.lit(False)).alias("v"))
@@ -220,14 +222,14 @@ def fit_boost(df: DataFrame, features: str = "features", label: str = "label", t
     older = None
     many = data.rdd.getNumPartitions() > MANY_TASKS
 
-    def add(frames):
-        return np.sum(frames["h"].tolist(), axis=0)
+    blocks = d if many else 1
 
-    for at_round in range(rounds):
-        made = []
-        for c in range(k):
+    def add(f):
+        return f[:1].assign(h=[sum(np.frombuffer(h) for h in f["h"]).tobytes()])
 
-            def histogram(tree, nodes, c=c, data=data):
+    for at_round in range(rounds):
+        def of_class(c, data=data):
+            def histogram(tree, nodes):
                 def partial(frames):
                     out = {n: np.zeros((d, n_bins, 2)) for n in nodes}
                     for f in frames:
@@ -240,19 +242,20 @@ def fit_boost(df: DataFrame, features: str = "features", label: str = "label", t
                             here = at == n
                             out[n] += sums(b[here], g[here], h[here], n_bins)
                     for n, v in out.items():
-                        yield pd.DataFrame({"node": n, "j": range(d), "h": list(v.reshape(d, -1))})
+                        yield pd.DataFrame({"node": n, "j": range(blocks), "h": [x.tobytes() for x in v.reshape(blocks, -1)]})
 
-                parts = data.where("not v").mapInPandas(partial, "node int, j int, h array<double>")
+                parts = data.where("not v").mapInPandas(partial, "node int, j int, h binary")
                 if many:
-                    parts = parts.groupBy("node", "j").applyInPandas(lambda f: pd.DataFrame({"node": f["node"][:1], "j": f["j"][:1], "h": [add(f)]}), "node int, j int, h array<double>")
-                total = {n: np.zeros((d, n_bins, 2)) for n in nodes}
-                got = parts.toArrow()
-                values = got.column("h").combine_chunks().flatten().to_numpy().reshape(-1, n_bins, 2)
-                for n, j, v in zip(got.column("node").to_pylist(), got.column("j").to_pylist(), values, strict=True):
-                    total[n][j] += v
-                return [total[n] for n in nodes]
-
-            made.append(grow(histogram, leaves, depth, l1, l2, lr))
+                    parts = parts.groupBy("node", "j").applyInPandas(add, "node int, j int, h binary")
+                total = {n: np.zeros((blocks, d * n_bins * 2 // blocks)) for n in nodes}
+                for got in parts.collect():
+                    total[got["node"]][got["j"]] += np.frombuffer(got["h"])
+                return [total[n].reshape(d, n_bins, 2) for n in nodes]
+
+            return grow(histogram, leaves, depth, l1, l2, lr, batch)
+
+        with ThreadPoolExecutor(k) as pool:  # the classes' jobs run beside each other
+            made = list(pool.map(of_class, range(k)))
         for c, tree in enumerate(made):
             model.trees[c].append(tree)
 

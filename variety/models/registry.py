@@ -33,7 +33,7 @@ DEFAULTS: dict[str, dict[str, Any]] = {
     "forest": {"trees": 20, "depth": 5},
     "adaboost": {"n": 10, "lr": 1.0, "depth": 1},
     "leafwise_boost": {"rounds": 10, "lr": 0.3, "leaves": 15, "depth": 6},
-    "second_order_boost": {"rounds": 10, "lr": 0.3, "leaves": 64, "depth": 6},
+    "second_order_boost": {"rounds": 10, "lr": 0.3, "leaves": 64, "depth": 6, "batch": 64},
     "gbt": {"rounds": 10, "depth": 5},
     "naive_bayes": {},
     "factorization": {"factors": 2, "reg": 0.1, "iterations": 100, "lr": 0.05},

@@ -74,6 +74,12 @@ def holdout(df: DataFrame, key, test: float = 0.2, seed: str = "split") -> DataF
     return df.withColumn("split", F.when(uniform(seed, *keys) < test, "test").otherwise("train"))
 
 
+def official(df: DataFrame, column: str, test: tuple = ("test",), valid: tuple = ()) -> DataFrame:
+    """The split that the data come with: ``split`` of test or valid where ``column`` has one of those values, train elsewhere, nulls too."""
+    named = F.when(F.col(column).isin(*test), "test")
+    return df.withColumn("split", (named.when(F.col(column).isin(*valid), "valid") if valid else named).otherwise("train"))
+
+
 def holdout_continuous(df: DataFrame, key: str, target: str, bins: int = 10, test: float = 0.2, seed: str = "split") -> DataFrame:
     """A split that is exact to a row in each of ``bins`` quantile bins of the target."""
     cuts = df.agg(F.percentile_approx(target, [i / bins for i in range(1, bins)], 10_000)).first()[0]

@@ -64,6 +64,18 @@ def target_encode(df: DataFrame, key: str, target: str, mode: str = "train_mean"
     return rows.withColumn("encoded", value).drop("_n", "_s", "_tn", "_ts", "_fn", "_fs", "_gn", "_gs")
 
 
+def target_encode_classes(df: DataFrame, key: str, target: str, classes: list, k_min: float = K_MIN, f: float = F_SCALE, train: str | None = None) -> DataFrame:
+    """``df`` with ``encoded``, an array of a smoothed share for each of ``classes``: one grouped count of all classes and one join.
+
+    Where the target is null a row counts for no class and in no total. Unseen and null categories have the overall shares.
+    """
+    y = F.when(F.expr(train), F.col(target)) if train else F.col(target)
+    totals = lambda p: [F.count(y).alias(f"{p}n"), F.array(*(F.count_if(y.eqNullSafe(F.lit(c))) for c in classes)).alias(f"{p}c")]
+    rows = df.join(df.groupBy(key).agg(*totals("_")).where(F.col(key).isNotNull()), key, "left").join(F.broadcast(df.agg(*totals("_g"))))
+    share = [blend(F.col("_n"), F.try_divide(F.get("_c", F.lit(i)), F.col("_n")), F.try_divide(F.get("_gc", F.lit(i)), F.col("_gn")), k_min, f) for i in range(len(classes))]
+    return rows.withColumn("encoded", F.array(*share)).drop("_n", "_c", "_gn", "_gc")
+
+
 def multi_hot(values: str, vocabulary: list[str]) -> Column:
     """A 0/1 array over the sorted vocabulary; unknown values are ignored, a null list is empty."""
     return F.transform(F.array(*(F.lit(v) for v in sorted(vocabulary))), lambda g: F.coalesce(F.array_contains(F.col(values), g), F.lit(False)).cast("int"))

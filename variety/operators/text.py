@@ -99,6 +99,57 @@ def lemmatize(toks: Column, lexicon: dict[str, str] = LEMMAS, protect=PROTECTED)
     return F.transform(toks, lambda t: F.coalesce(F.try_element_at(table, t), t))
 
 
+class ReviewPipeline:
+    """The steps in their order: repair, NFKC, emoji names, masks, idioms, words, stop words, lemmas. Any of them can be left out by name.
+
+    ``clean`` ends with the words, so that synthetic rows are made of clean ones; ``lemmas`` follows augmentation. A null text has no words.
+    """
+
+    TEXT_STEPS = ("repair", "nfkc", "demojize", "mask", "idioms")
+
+    def __init__(self, without: tuple[str, ...] = (), stop=STOP, protect=PROTECTED, idioms: dict[str, str] = IDIOMS, lexicon: dict[str, str] = LEMMAS):
+        self.without, self.stop, self.protect, self.idioms, self.lexicon = without, stop, protect, idioms, lexicon
+
+    def clean(self, c: Column) -> Column:
+        steps = {"repair": repair, "nfkc": nfkc, "demojize": demojize, "mask": mask, "idioms": lambda x: normalize_idioms(x, self.idioms)}
+        c = F.coalesce(c, F.lit(""))
+        for name in self.TEXT_STEPS:
+            c = c if name in self.without else steps[name](c)
+        toks = tokens(c)
+        return toks if "stop" in self.without else filter_stop(toks, self.stop, self.protect)
+
+    def lemmas(self, toks: Column) -> Column:
+        return toks if "lemmas" in self.without else lemmatize(toks, self.lexicon, self.protect)
+
+    def fields(self, df: DataFrame, fields: list[str]) -> DataFrame:
+        """``df`` with the clean words of each field in its place."""
+        return df.withColumns({f: self.clean(F.col(f)) for f in fields})
+
+    def encode(self, df: DataFrame, fields: list[str], encoder=None, to: str = "features") -> DataFrame:
+        """The lemmas of each field of words, encoded one after the other."""
+        encoder = encoder or HashedProjectionEncoder()
+        return df.withColumn(to, F.concat(*(encoder.encode(self.lemmas(F.col(f))) for f in fields)))
+
+
+class ModelEncoder:
+    """Any sentence model: ``load`` is called once a worker and batch stream and returns a function from a list of texts to a list of vectors."""
+
+    def __init__(self, load, batch: int = 64):
+        self.load, self.batch = load, batch
+
+    def encode(self, toks: Column) -> Column:
+        load, size = self.load, self.batch
+
+        def run(frames: Iterator[pd.Series]) -> Iterator[pd.Series]:
+            model = load()
+            for s in frames:
+                texts = [t or "" for t in s]
+                out = [[float(x) for x in v] for at in range(0, len(texts), size) for v in model(texts[at : at + size])]
+                yield pd.Series(out, dtype=object)
+
+        return F.pandas_udf(run, "array<double>")(F.array_join(F.coalesce(toks, F.array().cast("array<string>")), " "))
+
+
 def title_body(c: Column, words: int = 12) -> tuple[Column, Column]:
     """The first line and the rest; where there is one line only, its first words and the rest."""
     lines = F.locate("\n", c)

@@ -186,3 +186,20 @@ def _(spark, d):
     rows = T.target_encode(W.order_rows(spark, d), "o_custkey", "y_rev", "leave_one_out").withColumn("hot", T.multi_hot("brands", vocabulary))
     out, spans = T.assemble(rows, {"numeric": ["n_lines"], "brands": ["hot"], "customer": ["encoded"]})
     return out.agg(F.max(F.size("features")).alias("width"), F.count(F.lit(1)).alias("n")).withColumn("blocks", F.lit(str(spans)))
+
+
+STATUS = ("F", "O", "P")
+
+
+@query(
+    "tab_target_enc_classes",
+    f"""WITH s AS (SELECT o_custkey, o_orderstatus AS c, count(*) AS k FROM orders GROUP BY 1, 2), t AS (SELECT o_custkey, count(*) AS n FROM orders GROUP BY 1),
+    g AS (SELECT c, count(o_orderkey) / (SELECT count(*) FROM orders) AS g FROM (VALUES ('F'), ('O'), ('P')) v(c) LEFT JOIN orders ON o_orderstatus = c GROUP BY 1),
+    e AS (SELECT t.o_custkey, g.c, {_blend("t.n", "(coalesce(s.k, 0) / t.n)", "g.g")} AS e FROM t CROSS JOIN g LEFT JOIN s ON s.o_custkey = t.o_custkey AND s.c = g.c)
+    SELECT o_orderkey, round(f.e, 6) AS share_f, round(o.e, 6) AS share_o, round(p.e, 6) AS share_p FROM orders JOIN e f ON f.o_custkey = orders.o_custkey AND f.c = 'F'
+    JOIN e o ON o.o_custkey = orders.o_custkey AND o.c = 'O' JOIN e p ON p.o_custkey = orders.o_custkey AND p.c = 'P'""",
+)
+def _(spark, d):
+    rows = load(spark, d, "orders").select("o_orderkey", "o_custkey", "o_orderstatus")
+    rows = T.target_encode_classes(rows, "o_custkey", "o_orderstatus", list(STATUS))
+    return rows.select("o_orderkey", *(F.round(F.get("encoded", F.lit(i)), 6).alias(f"share_{c.lower()}") for i, c in enumerate(STATUS)))

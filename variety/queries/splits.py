@@ -94,9 +94,9 @@ def _(spark, d):
     return S.validation_flag(load(spark, d, "lineitem").select("l_orderkey"), "l_orderkey", 0.1).where("is_valid").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query("split_official", "SELECT count(*) AS n FROM conversations WHERE role = 'user'")
+@query("split_official", "SELECT conv_id, turn, CASE WHEN role = 'user' THEN 'test' ELSE 'train' END AS split FROM conversations")
 def _(spark, d):
-    return load(spark, d, "conversations").where("role = 'user'").agg(F.count(F.lit(1)).alias("n"))
+    return S.official(load(spark, d, "conversations"), "role", ("user",)).select("conv_id", "turn", "split")
 
 
 @query("dense_class_weights", "WITH c AS (SELECT quality, count(*) AS n FROM labels GROUP BY 1) SELECT quality, round(sum(n) OVER () / (count(*) OVER () * n), 6) AS weight FROM c")

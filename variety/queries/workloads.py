@@ -1,5 +1,6 @@
 """The experiments, end to end. Searches train on packed samples; winners are fitted on all training rows."""
 
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from ..functions.hashing import uniform
@@ -96,95 +97,173 @@ def _(spark, d):
     return M.confusion(voted, normalized=True)
 
 
-def _reviews(spark, d, fields=("title", "body")):
-    rows = W.reviews(spark, d)
-    return X.encode_fields(rows, list(fields), X.HashedProjectionEncoder(64))
+FIELDS = ["title", "body"]
 
 
-def _two(rows, target, classes):
-    index = {v: i for i, v in enumerate(classes)}
-    rows = rows.withColumn("label", F.create_map(*(F.lit(x) for k, v in index.items() for x in (k, float(v))))[F.col(target)]).persist()
-    out = []
+def _cut_or_extended(rows):
+    """Synthetic words: long bodies lose some of their end, all others gain a phrase, drawn by row and copy; half of the rows are also translated there and back."""
+    u = uniform("aug", "doc_id", F.col("copy"))
+    phrase = X.tokens(A.suffix(F.lit(""), u))
+    body = F.when(F.size("body") >= 30, A.truncate(F.col("body"), u)).otherwise(F.concat("body", phrase))
+    return rows.withColumn("body", F.when(uniform("trip", "doc_id", F.col("copy")) < 0.5, A.back_translate(body, F.xxhash64("doc_id", "copy"))).otherwise(body))
+
+
+def _reviews(spark, d, label, pipeline=None, augment=True, joined=False, width=64):
+    """Reviews through the ordered pipeline: clean words of each field, synthetic rows for the small classes of training, lemmas, encodings."""
+    pipeline = pipeline or X.ReviewPipeline()
+    rows = W.reviews(spark, d).withColumn("label", label).where("label is not null")
+    if joined:
+        rows = rows.withColumns({"title": F.concat_ws(" ", "title", "body"), "body": F.lit("")})
+    rows = pipeline.fields(rows, FIELDS)
+    if augment:
+        rows = A.superset(rows, "doc_id", "label", _cut_or_extended)
+    return pipeline.encode(rows, FIELDS, X.HashedProjectionEncoder(width))
+
+
+def _index(column, values):
+    return F.create_map(*(F.lit(x) for i, v in enumerate(values) for x in (v, float(i))))[F.col(column)]
+
+
+TYPES, STARS = ("en", "fr", "de", "es"), (1, 2, 3, 4, 5)
+
+
+def _kept(spark, frames):
+    """The few rows of measures, computed now, so that what was held in memory for them can go."""
+    out = [r for f in frames for r in f.collect()]
+    return spark.createDataFrame(out, frames[0].schema)
+
+
+def _two(spark, rows, classes):
+    """The two tree ensembles with untuned parameters."""
+    rows, out = rows.persist(), []
     for f in ("second_order_boost", "forest"):
-        params = {"rounds": 4, "leaves": 12} if f == "second_order_boost" else None
-        model = fit(f, rows.where("split = 'train'"), params, "multiclass", len(classes))
-        scored = model.transform(rows).select("split", "label", "prediction")
-        test = M.classification(scored.where("split = 'test'"))
-        collapse = M.collapse(scored.where("split = 'test'"))
-        out.append(test.join(collapse).join(M.gap(scored)).withColumn("family", F.lit(f)))
+        scored = fit(f, rows.where("split = 'train'"), None, "multiclass", classes).transform(rows).select("split", "label", "prediction").persist()
+        test = scored.where("split = 'test'")
+        got = M.classification(test).join(M.collapse(test)).join(M.gap(scored)).withColumn("family", F.lit(f))
+        out.append(_kept(spark, [got]))
+        scored.unpersist()
+    rows.unpersist()
     return out[0].unionByName(out[1])
 
 
 @query("w_reviews_type")
 def _(spark, d):
-    return _two(_reviews(spark, d), "type", ["en", "fr", "de", "es"])
+    return _two(spark, _reviews(spark, d, _index("type", TYPES)), len(TYPES))
 
 
 @query("w_reviews_polarity")
 def _(spark, d):
-    return _two(_reviews(spark, d), "stars", [1, 2, 3, 4, 5])
+    return _two(spark, _reviews(spark, d, _index("stars", STARS)), len(STARS))
 
 
 @query("w_reviews_ablation")
 def _(spark, d):
-    out = None
-    make = lambda g: g.withColumn("body", A.suffix(F.col("body"), uniform("aug", "doc_id", F.col("copy"))))
-    for name, rows in {
-        "two_fields": W.reviews(spark, d),
-        "joined": W.reviews(spark, d).withColumns({"title": F.concat_ws(" ", "title", "body"), "body": F.lit("")}),
-        "augmented": A.superset(W.reviews(spark, d), "doc_id", "stars", make),
-    }.items():
-        rows = X.encode_fields(rows, ["title", "body"], X.HashedProjectionEncoder(64)).withColumn("label", (F.col("stars") >= 4).cast("double"))
-        got = M.gap(fit("logistic", rows.where("split = 'train'")).transform(rows)).withColumn("variant", F.lit(name))
-        out = got if out is None else out.unionByName(got)
-    return out
+    """Five classes: the whole pipeline, then without one part of it, each measured on the same test rows."""
+    variants = {
+        "whole": {},
+        "joined_fields": {"joined": True},
+        "not_augmented": {"augment": False},
+        "stop_words_kept": {"pipeline": X.ReviewPipeline(("stop",))},
+        "negations_removed": {"pipeline": X.ReviewPipeline(protect=())},
+        "words_as_they_are": {"pipeline": X.ReviewPipeline(("lemmas", "idioms"))},
+    }
+    out = []
+    for name, change in variants.items():
+        rows = _reviews(spark, d, _index("stars", STARS), **change).persist()
+        scored = fit("logistic", rows.where("split = 'train'"), None, "multiclass", len(STARS)).transform(rows).select("split", "label", "prediction")
+        measures = M.gap(scored).join(M.collapse(scored.where("split = 'test'"))).withColumn("variant", F.lit(name))
+        out.append(_kept(spark, [measures]))
+        rows.unpersist()
+    got = out[0]
+    for o in out[1:]:
+        got = got.unionByName(o)
+    return got
 
 
-def hybrid_features(spark, d, target="y_rev", mode="leave_one_out", blocks=("numeric", "brands", "customer", "cast")):
-    vocabulary = sorted(r[0] for r in load(spark, d, "part").select("p_brand").distinct().collect())
-    rows = W.order_rows(spark, d).where("y_rev is not null")
-    rows = T.target_encode(rows, "o_custkey", target, mode, train="split = 'train'").withColumn("hot", T.multi_hot("brands", vocabulary))
-    people = T.reputation(rows.withColumn("_y", F.when(F.col("split") == "train", F.col(target))), "o_orderkey", "suppliers", "_y", mode)
-    rows = rows.join(people, "o_orderkey")
-    every = {"numeric": ["n_lines"], "brands": ["hot"], "customer": ["encoded"], "cast": ["cast_reputation", "cast_experience"]}
-    out, _ = T.assemble(rows, {b: every[b] for b in blocks})
-    return out.withColumn("label", F.col(target))
+#: An order's people: the suppliers of its lines, that of its first line, and its parts, in the places of a cast, a director and writers.
+PEOPLE = {"cast": "suppliers", "lead": "leads", "crew": "parts"}
+BLOCKS = ("numeric", "brands", "categories", "cast", "lead", "crew", "title", "description")
 
 
-def _regress(rows, families, name):
-    rows, out = rows.persist(), None
+def orders_of(spark, d):
+    """The rows that all hybrid features are made of, with the lists of people; made once and held in memory and on disk."""
+    rows = W.order_rows(spark, d).where("y_rev is not null")
+    return rows.withColumns({"leads": F.array_compact(F.array("lead_supplier")), "few": F.log1p("n_lines")}).persist()
+
+
+def hybrid_features(base, target="y_rev", mode="leave_one_out", blocks=BLOCKS, width=32):
+    """Numbers, smoothed categories, reputations of three lists of people, and two texts, side by side in ``features``; only the blocks that are asked for are made.
+
+    Each encoding is made of a few columns of ``base`` and joined by key, so that the plan grows by the block and not by the product of blocks.
+    """
+    rows, seen, key = base, "split = 'train'", "o_orderkey"
+    every = {"numeric": ["few"], "brands": ["hot"], "categories": ["by_customer", "by_nation"], "title": ["e_title"], "description": ["e_description"]}
+    if "brands" in blocks:
+        vocabulary = sorted(r[0] for r in base.select(F.explode("brands")).distinct().collect())
+        rows = rows.withColumn("hot", T.multi_hot("brands", vocabulary))
+    if "categories" in blocks:
+        for category, name in (("o_custkey", "by_customer"), ("nation", "by_nation")):
+            told = T.target_encode(base.select(key, category, target, "split"), category, target, mode, train=seen)
+            rows = rows.join(told.select(key, F.col("encoded").alias(name)), key)
+    for name, people in PEOPLE.items():
+        if name in blocks:
+            told = base.select(key, people, F.when(F.expr(seen), F.col(target)).alias("_y"))
+            rows = rows.join(T.reputation(told, key, people, "_y", mode, name=name), key)
+            every[name] = [f"{name}_reputation", f"{name}_experience"]
+    encoder = X.HashedProjectionEncoder(width)
+    texts = {"title": F.col("title"), "description": F.concat_ws(" ", "o_orderpriority", "nation", F.array_join("brands", " "))}
+    for name, text in texts.items():
+        if name in blocks:
+            rows = rows.withColumn(f"e_{name}", encoder.encode(X.tokens(F.coalesce(text, F.lit("")))))
+    columns = [c for b in blocks for c in every[b]]
+    out, _ = T.assemble(rows.select(key, "split", F.col(target).alias("label"), *columns), {b: every[b] for b in blocks})
+    return out.select(key, "split", "features", "label")
+
+
+def _regress(spark, rows, families, name):
+    rows, out = rows.persist(), []
     for f in families:
         model = fit(f, rows.where("split = 'train'"), {"reg": 0.001} if f == "linear_regression" else None, "regression")
-        got = M.regression(model.transform(rows), by=("split",)).withColumns({"family": F.lit(f), "variant": F.lit(name)})
-        out = got if out is None else out.unionByName(got)
-    return out
+        out.append(M.regression(model.transform(rows), by=("split",)).withColumns({"family": F.lit(f), "variant": F.lit(name)}))
+    got = _kept(spark, out)
+    rows.unpersist()
+    return got
 
 
 @query("w_hybrid_regress")
 def _(spark, d):
-    families = ("linear_regression", "forest", "gbt")
-    return _regress(hybrid_features(spark, d), families, "revenue").unionByName(_regress(hybrid_features(spark, d, "y_noise"), families, "noise"))
+    families, base = ("linear_regression", "forest", "second_order_boost"), orders_of(spark, d)
+    out = _regress(spark, hybrid_features(base), families, "revenue").unionByName(_regress(spark, hybrid_features(base, "y_noise"), families, "noise"))
+    base.unpersist()
+    return out
 
 
 @query("w_hybrid_ablation")
 def _(spark, d):
-    one = ("linear_regression",)
-    rows = _regress(hybrid_features(spark, d), one, "all")
-    rows = rows.unionByName(_regress(hybrid_features(spark, d, blocks=("brands",)), one, "brands"))
-    rows = rows.unionByName(_regress(hybrid_features(spark, d, blocks=("customer", "cast")), one, "encodings"))
-    return rows.unionByName(_regress(hybrid_features(spark, d, "y_noise", "train_mean", ("customer",)), one, "noise_in_sample"))
+    one, base = ("linear_regression",), orders_of(spark, d)
+    rows = _regress(spark, hybrid_features(base), one, "all")
+    parts = {"brands": ("brands",), "encodings": ("categories", "cast", "lead", "crew"), "texts": ("title", "description"), "without_texts": BLOCKS[:-2]}
+    for name, blocks in parts.items():
+        rows = rows.unionByName(_regress(spark, hybrid_features(base, blocks=blocks), one, name))
+    rows = rows.unionByName(_regress(spark, hybrid_features(base, "y_noise", "train_mean", ("categories",)), one, "noise_in_sample"))
+    base.unpersist()
+    return rows
 
 
 @query("w_cross_domain")
 def _(spark, d):
-    dense = _scores(spark, d, ("logistic", "tree"), "y_lin").select(F.lit("dense").alias("domain"), "family", F.col("test_accuracy").alias("score"))
-    rows = _reviews(spark, d).withColumn("label", (F.col("type") == "en").cast("double"))
-    out = dense
-    for f in ("logistic", "tree"):
-        got = M.gap(fit(f, rows.where("split = 'train'")).transform(rows))
-        out = out.unionByName(got.select(F.lit("reviews").alias("domain"), F.lit(f).alias("family"), F.col("test_accuracy").alias("score")))
-    from pyspark.sql import Window
-
+    """The families' places on dense vectors, reviews and hybrid rows; these ask whether an order earns more than the median."""
+    families, out = ("logistic", "tree", "forest"), None
+    dense = W.dense(spark, d).withColumn("label", F.col("y_lin").cast("double"))
+    orders = hybrid_features(orders_of(spark, d))
+    middle = orders.where("split = 'train'").agg(F.percentile_approx("label", 0.5)).first()[0]
+    orders = orders.withColumn("label", (F.col("label") > middle).cast("double"))
+    domains = {"dense": dense, "reviews": _reviews(spark, d, (F.col("type") == "en").cast("double")), "hybrid": orders}
+    for name, rows in domains.items():
+        rows = rows.select("split", "features", "label").persist()
+        got = _kept(spark, [M.gap(fit(f, rows.where("split = 'train'")).transform(rows)).select(F.lit(name).alias("domain"), F.lit(f).alias("family"), F.col("test_accuracy").alias("score")) for f in families])
+        rows.unpersist()
+        out = got if out is None else out.unionByName(got)
     return out.withColumn("place", F.rank().over(Window.partitionBy("domain").orderBy(F.desc("score"))))
 
 
