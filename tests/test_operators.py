@@ -137,3 +137,18 @@ def test_fitted_encoders_take_empty_texts(spark):
     for encoder in (X.fit_word2vec(rows, toks, 4, 1), X.fit_tfidf_pca(rows, toks, 2, 16)):
         got = {r["text"]: r["features"] for r in X.encode_fields(rows, ["text"], encoder).collect()}
         assert all(len(v) == encoder.d for v in got.values()) and got[""] == got[None] == [0.0] * encoder.d
+
+
+def test_appended_stream_rows_are_in_files_and_none_is_late(spark, tmp_path):
+    from variety.queries import QUERIES
+
+    schema = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
+    for at, day in enumerate(("2024-01-20", "2024-01-01", "2024-01-10")):  # a file a batch, the later ones days late
+        rows = spark.range(at * 10, at * 10 + 12).selectExpr("id as event_id", f"timestamp_ntz'{day} 10:00:00' as ts", "1L as user_id", "'click' as event_type", "id * 1D as value", "'{}' as props")
+        spark.createDataFrame(rows.collect(), schema).coalesce(1).write.mode("append").parquet(str(tmp_path / "events.parquet"))
+    before = {t.name for t in spark.catalog.listTables()}
+    got = QUERIES["op_stream_dedup"](spark, str(tmp_path))
+    assert got.first()["n"] == 32
+    joined = QUERIES["op_stream_static_join"](spark, str(tmp_path))
+    assert joined.first()["n"] == 36
+    assert {t.name for t in spark.catalog.listTables()} == before  # no memory table holds the rows

@@ -4,16 +4,14 @@ import uuid
 
 from pyspark.sql import functions as F
 
+from ..sources.tables import scratch_path
 from ..streaming import windows as S
 from .registry import query
 
 
 def _ran(spark, make, mode="complete"):
     def run(d):
-        name = f"s_{uuid.uuid4().hex}"
-        base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir") or "/tmp/variety-streams"
-        S.run_once(make(S.stamped(S.events(spark, d))), name, f"{base.rstrip('/')}/{name}", mode)
-        return spark.table(name)
+        return S.run_once(make(S.stamped(S.events(spark, d))), f"s_{uuid.uuid4().hex}", scratch_path(spark, "stream"), mode)
 
     return run
 
@@ -31,7 +29,7 @@ def _(spark, d):
 
 @query("op_stream_dedup", "SELECT count(DISTINCT event_id) AS n FROM events")
 def _(spark, d):
-    return _ran(spark, lambda s: S.deduplicated(s.withWatermark("ts", "10 minutes")).select("event_id"), "append")(d).agg(F.count(F.lit(1)).alias("n"))
+    return _ran(spark, lambda s: S.deduplicated(s.select("event_id")), "append")(d).agg(F.count(F.lit(1)).alias("n"))
 
 
 @query("op_stream_encoding", "SELECT event_type, count(*) AS n, round(avg(value), 6) AS mean_value FROM events GROUP BY 1")
@@ -81,7 +79,4 @@ def _(spark, d):
     rows = W.dense(spark, d).withColumn("label", F.col("y_lin").cast("double"))
     model = fit("discriminant", rows.where("split = 'train'"), None, "binary")
     stream = spark.readStream.schema(SCHEMAS["embeddings"]).parquet(f"{d}/embeddings.parquet*").select("vec_id", F.col("embedding").cast("array<double>").alias("features"))
-    name = f"s_{uuid.uuid4().hex}"
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir") or "/tmp/variety-streams"
-    S.run_once(model.transform(stream).select("vec_id", "prediction"), name, f"{base.rstrip('/')}/{name}", "append")
-    return spark.table(name)
+    return S.run_once(model.transform(stream).select("vec_id", "prediction"), f"s_{uuid.uuid4().hex}", scratch_path(spark, "stream"), "append")
