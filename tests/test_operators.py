@@ -3,6 +3,7 @@
 import math
 
 import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
 from variety.operators import augment, dense, ensemble, metrics, sampling, tabular, text
@@ -152,3 +153,14 @@ def test_appended_stream_rows_are_in_files_and_none_is_late(spark, tmp_path):
     joined = QUERIES["op_stream_static_join"](spark, str(tmp_path))
     assert joined.first()["n"] == 36
     assert {t.name for t in spark.catalog.listTables()} == before  # no memory table holds the rows
+
+
+@pytest.mark.parametrize("name, table", [("ens_lift", "lineitem"), ("ens_topk_weights", "lineitem"), ("hpo_aga_weights", "events"), ("hpo_cv_select", "orders"), ("hpo_elitism", "orders"), ("hpo_grid_counts", "orders"), ("hpo_grid_enumerate", "orders"), ("hpo_halving_rungs", "customer"), ("hpo_ledger_cost", "orders"), ("hpo_mutation_multi", "customer"), ("hpo_mutation_reset", "customer"), ("hpo_one_point_crossover", "customer")])
+def test_a_given_table_decides_the_rows(spark, small, tmp_path, name, table):
+    """On fewer rows of its table a query says something else."""
+    from variety.queries import QUERIES
+
+    key = {"lineitem": "l_orderkey", "events": "event_id", "orders": "o_orderkey", "customer": "c_custkey"}[table]
+    spark.read.parquet(f"{small}/{table}.parquet").where(f"{key} % 3 = 1").write.parquet(str(tmp_path / f"{table}.parquet"))
+    rows = lambda d: sorted(map(repr, QUERIES[name](spark, d).collect()))
+    assert rows(small) != rows(str(tmp_path))
