@@ -375,7 +375,7 @@ def _lattices(path: str, power: float) -> Lattices:
     return made[path, power]
 
 
-def _sample(path: str, k: int, power: float, full: bool):
+def _sample(path: str, k: int, power: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         lattices = _lattices(path, power)
         pieces = lattices.pieces
@@ -396,7 +396,7 @@ def _sample(path: str, k: int, power: float, full: bool):
                             at = i + 1
                         ids = np.concatenate([*parts, ids[at:]])
                     chance = 1.0 if edge == -math.inf else -math.expm1(-math.exp(min(log_prob - edge, 50.0)))
-                    for column, v in zip(out, (row, rank, len(ids), zlib.crc32(ids.tobytes()), log_prob, value, chance, ids.astype(np.int32) if full else None), strict=True):
+                    for column, v in zip(out, (row, rank, len(ids), zlib.crc32(ids.tobytes()), log_prob, value, chance, ids.astype(np.int32)), strict=True):
                         column.append(v)
             kinds = (pa.int32(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.float64(), pa.list_(pa.int32()))
             yield pa.RecordBatch.from_arrays(
@@ -407,7 +407,7 @@ def _sample(path: str, k: int, power: float, full: bool):
     return run
 
 
-def sampled_segmentations(docs: DataFrame, k: int = SAMPLES, model: str | None = None, power: float = RANK_POWER, full: bool = True) -> DataFrame:
+def sampled_segmentations(docs: DataFrame, k: int = SAMPLES, model: str | None = None, power: float = RANK_POWER) -> DataFrame:
     """Up to k distinct segmentations of each text of ``docs`` (doc_id, text), a row each.
 
     doc_id, rank (from 0, by perturbed value), n_pieces, ids_crc32, log_prob, perturbed, inclusion (the chance that a
@@ -418,8 +418,8 @@ def sampled_segmentations(docs: DataFrame, k: int = SAMPLES, model: str | None =
     """
     texts = text_frame(docs, F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("doc_id").alias("key"))
     schema = "doc_id long, rank int, n_pieces long, ids_crc32 long, log_prob double, perturbed double, inclusion double, ids array<int>"
-    return texts.mapInArrow(_sample(model or vocabulary_path("piece_bpe_32k.model"), k, power, full), schema)
+    return texts.mapInArrow(_sample(model or vocabulary_path("piece_bpe_32k.model"), k, power), schema)
 
 
 def op6_sampled_segmentations(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return sampled_segmentations(table(spark, sf_dir, "documents"), full=False).drop("ids")
+    return sampled_segmentations(table(spark, sf_dir, "documents"))
