@@ -164,3 +164,12 @@ def test_a_given_table_decides_the_rows(spark, small, tmp_path, name, table):
     spark.read.parquet(f"{small}/{table}.parquet").where(f"{key} % 3 = 1").write.parquet(str(tmp_path / f"{table}.parquet"))
     rows = lambda d: sorted(map(repr, QUERIES[name](spark, d).collect()))
     assert rows(small) != rows(str(tmp_path))
+
+
+def test_steps_on_characters_share_a_worker(spark):
+    texts = ["plain", "cafÃ© Ⅻ", "ok 👍️ ❤️", "ﬁne â€œ", "Ã", "x️y", ""]
+    rows = spark.createDataFrame([(t,) for t in texts], "t string")
+    one_by_one = rows.select(text.demojize(text.nfkc(text.repair(F.col("t")))).alias("t"))
+    at_once = rows.select(text.ReviewPipeline(("mask", "idioms")).texts(F.col("t")).alias("t"))
+    assert at_once.collect() == one_by_one.collect()
+    assert at_once._jdf.queryExecution().executedPlan().toString().count("ArrowEvalPython") == 1
